@@ -4,10 +4,15 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from waypoint.llm import mixing, near_dup, quality, secrets, toxicity
+from waypoint.llm import mixing, near_dup, quality, secrets, suffix_dedup, toxicity
 from waypoint.llm.store import table
 
 
+def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bytes of repeated 400-byte strings of every document."""
+    return suffix_dedup.repeated_spans(table(spark, sf_dir, "documents")).drop("starts", "ends")
+
+
 def op2_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Components of documents whose 3-word shingle sets are alike by 85 percent or more."""
     return near_dup.near_duplicates(table(spark, sf_dir, "documents"), k=3, percent=85)
@@ -33,7 +38,7 @@ def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scanned(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {"op2_near_dup": op2_near_dup, "op3_toxicity": op3_toxicity, "op5_quality": op5_quality, "op7_mixing": op7_mixing, "op9_secrets": op9_secrets}
+QUERIES = {"op1_suffix_dedup": op1_suffix_dedup, "op2_near_dup": op2_near_dup, "op3_toxicity": op3_toxicity, "op5_quality": op5_quality, "op7_mixing": op7_mixing, "op9_secrets": op9_secrets}
 NEAR_DUP_SQL = r"""
 WITH RECURSIVE w AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
