@@ -67,9 +67,10 @@ def anchors(raw: np.ndarray, off: np.ndarray, length: int = LENGTH, gram: int =
         return none, none, none, np.zeros(0, dtype=U64), prefix
     if m >> _POS:
         raise ValueError("a text is longer than 256 MB")
-    at = np.arange(m)
-    h = packed.span_hash(prefix, at, at + gram)
-    key = (h >> U64(_POS) << U64(_POS)) | at.astype(U64)
+    h = packed.gram_hashes(prefix, gram)
+    key = h >> U64(_POS)
+    key <<= U64(_POS)
+    key |= np.arange(m, dtype=U64)
     blocks = -(-m // w)
     grid = np.full(blocks * w, np.iinfo(np.uint64).max, dtype=U64)
     grid[:m] = key
@@ -325,17 +326,20 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     """``doc_id, n_bytes, n_removed, n_spans, kept_sha256`` and the removed runs (``starts``, ``ends``) of every row."""
     rows = docs.select("doc_id", F.xxhash64("doc_id", "text").alias("rid"), F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("text"))
     found = rows.filter(F.length("text") >= LENGTH).mapInArrow(_anchor_rows, "doc_id long, rid long, h long, n long")
+    found = kept(found, "sa-anchors")
     twice = found.groupBy("h").agg(F.sum("n").alias("n")).filter("n > 1").select("h")
     wanted = found.select("doc_id", "rid", "h").join(twice, "h").groupBy("rid", "doc_id").agg(F.collect_set("h").alias("hs"))
     same = [F.col("w.rid") == F.col("r.rid"), F.col("w.doc_id").eqNullSafe(F.col("r.doc_id"))]
     passages = rows.alias("r").join(wanted.alias("w"), same).select("r.doc_id", "r.rid", "r.text", "w.hs").mapInArrow(_passage_rows, _PASSAGE)
     passages = kept(passages, "sa-passages")
-    members = passages.groupBy("key", "full").agg(F.count("*").alias("n"))
+    members = passages.groupBy("key", "full").agg(F.count("*").alias("n"), F.min(F.struct("rid", "lo")).alias("one"))
     buckets = members.groupBy("key").agg(F.count("*").alias("members")).filter("members > 1")
     status = kept(members.join(buckets, "key", "left").filter("n > 1 or members > 1"), "sa-status")
     open_ = status.filter("members > 1")
-    content = passages.select("key", "full", "reach", (F.col("hi") - F.col("lo") + 1).alias("windows"), "passage")
-    reps = content.join(open_.select("key", "full", "members"), ["key", "full"]).groupBy("key", "full").agg(F.first("reach").alias("reach"), F.first("windows").alias("windows"), F.first("passage").alias("passage"), F.first("members").alias("members"))
+    # one row with its bytes for each member, found by its place, since a member itself may be a large part of all rows
+    content = passages.select("key", "full", "rid", "lo", "reach", (F.col("hi") - F.col("lo") + 1).alias("windows"), "passage")
+    one = open_.select("key", "full", F.col("one.rid").alias("rid"), F.col("one.lo").alias("lo"), "members")
+    reps = content.join(one, ["key", "full", "rid", "lo"]).groupBy("key", "full").agg(F.first("reach").alias("reach"), F.first("windows").alias("windows"), F.first("passage").alias("passage"), F.first("members").alias("members"))
     reps = kept(reps, "sa-members")
     columns = ["key", "full", "reach", "windows", "passage"]
     fits = reps.filter(F.col("members") <= MEMBERS).select(*columns)
