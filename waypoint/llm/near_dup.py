@@ -6,12 +6,11 @@ an element's permutation are all different, which correlates the places and lowe
 soon as all its places hold bids under the next round's number: one round is enough for long texts.
 
 Candidates. Texts of equal shingle sets are one class (its smallest id stands for it). Classes that agree in a
-band's R places share a bucket. In a bucket every member is compared with a leader (a pair a member, not all pairs), and members
-whose distance to the leader rules a link out by the triangle inequality of the Jaccard distance aren't compared any further with
-those near the leader. What is still open after that (members outside the leader's ball, and those within
-that lie near enough to one outside) goes on to a next round with a new leader, pairs already in one
-component left out; a remainder of up to PAIRS members is compared pair by pair. So no link between bucket mates is
-lost, whatever the size of the bucket. Every link is confirmed on full sets.
+band's R places share a bucket, and bucket mates are compared unless they are in one component already. That is
+done without emitting all pairs: while many members of a bucket are outside its largest component, a few of them lead (they are compared with every
+other member, which takes a fixed number of pairs a member, and are then done with) and components are found anew; once few are outside, each
+of them is compared with all others. So no link between different components of bucket mates is lost, whatever the size
+of the bucket, and a large group of near copies takes two rounds. Every link is confirmed on full sets.
 
 Defined results: a null or empty text (or one without words) has an empty set and is linked with nothing, not
 even with another empty one; fewer than K words are one shingle; repeated rows of one id are judged alike; an empty table gives
@@ -35,8 +34,10 @@ from waypoint.llm.store import kept
 U64 = np.uint64
 PLACES, ROWS = 80, 4
 BANDS = PLACES // ROWS
-#: Buckets of up to this many open members are compared pair by pair.
-PAIRS = 12
+#: With up to PAIRS members outside a bucket's largest component, or up to MOST_PAIRS pairs in all, all open pairs are compared.
+PAIRS, MOST_PAIRS = 12, 1200
+#: Members that lead at a time in other buckets.
+LEADERS = 6
 
 
 def signatures(hashes: np.ndarray, first: np.ndarray, m: int = PLACES) -> np.ndarray:
@@ -145,44 +146,37 @@ def _compared(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return out.select("a", "b", "inter", (F.col("n") - F.col("inter")).alias("total"))
 
 
-def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, rounds: int = 64) -> DataFrame:
+def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, rounds: int = 200) -> DataFrame:
     """Verified links (u, v) between classes that share a bucket, enough to hold every component together."""
-    distance = 1.0 - percent / 100.0
-    members = classes.filter("n_shingles > 0").select("doc_id", "n_shingles", F.posexplode("bands").alias("band", "key"))
+    members = classes.filter("n_shingles > 0").select("doc_id", F.posexplode("bands").alias("band", "key"))
     shared = members.groupBy("band", "key").agg(F.count("*").alias("n")).filter("n > 1")
-    buckets = kept(members.join(shared.select("band", "key"), ["band", "key"]).select(F.xxhash64("band", "key").alias("bucket"), "doc_id", F.lit(False).alias("inner")), "nd-buckets")
-    wanted = buckets.select("doc_id").distinct()
-    sets = kept(shingle_sets(docs.select("doc_id", "text").join(wanted, "doc_id", "left_semi"), k), "nd-sets")
+    buckets = members.join(shared.select("band", "key"), ["band", "key"]).select(F.xxhash64("band", "key").alias("bucket"), "doc_id", F.col("doc_id").alias("c"))
+    buckets = kept(buckets, "nd-buckets")
+    sets = kept(shingle_sets(docs.select("doc_id", "text").join(buckets.select("doc_id").distinct(), "doc_id", "left_semi"), k), "nd-sets")
     links = None
     for _ in range(rounds):
-        # few open members: all their pairs, except two within a former leader's ball, which are in one component
-        per = buckets.groupBy("bucket").agg(F.count("*").alias("n"), F.min(F.when(~F.col("inner"), F.col("doc_id"))).alias("leader"))
-        sized = buckets.join(per, "bucket")
-        small = sized.filter(F.col("n") <= PAIRS).select("bucket", "doc_id", "inner")
-        x, y = small.alias("x"), small.alias("y")
-        few = x.join(y, (F.col("x.bucket") == F.col("y.bucket")) & (F.col("x.doc_id") < F.col("y.doc_id")) & ~(F.col("x.inner") & F.col("y.inner")))
-        few = few.select(F.col("x.doc_id").alias("a"), F.col("y.doc_id").alias("b"))
-        large = kept(sized.filter(F.col("n") > PAIRS), "nd-large")
-        star = large.filter(F.col("doc_id") != F.col("leader")).select(F.col("leader").alias("a"), F.col("doc_id").alias("b"))
-        sims = kept(_compared(few.unionByName(star), sets), "nd-sims")
-        found = sims.filter(F.col("inter") * 100 >= F.col("total") * percent).select(F.col("a").alias("u"), F.col("b").alias("v"))
-        links = found if links is None else links.unionByName(found)
-        if large.isEmpty():
-            break
-        # who is still open beside the leader
-        d = sims.select(F.col("a").alias("leader"), F.col("b").alias("doc_id"), (1 - F.col("inter") / F.col("total")).alias("to"), (F.col("inter") * 100 >= F.col("total") * percent).alias("near"))
-        rest = large.filter(F.col("doc_id") != F.col("leader")).select("bucket", "doc_id", "leader", F.col("inner").alias("was")).join(d, ["leader", "doc_id"])
-        outside = rest.filter(~F.col("near") & ~F.col("was"))
-        least = outside.groupBy("bucket").agg(F.min("to").alias("reach"))
-        again = rest.join(least, "bucket").filter((~F.col("near") & ~F.col("was")) | (F.col("to") >= F.col("reach") - distance - 1e-9))
-        buckets = again.select("bucket", "doc_id", (F.col("near") | F.col("was")).alias("inner"))
+        # the largest component of each bucket, and how many members are outside it
+        parts = buckets.groupBy("bucket", "c").agg(F.count("*").alias("n"))
+        main = parts.groupBy("bucket").agg(F.sum("n").alias("n"), F.max(F.struct("n", "c")).alias("m")).select("bucket", "n", F.col("m.c").alias("main"), (F.col("n") - F.col("m.n")).alias("outside"))
+        main = main.withColumn("final", (F.col("outside") <= PAIRS) | (F.col("outside") * F.col("n") <= MOST_PAIRS))
+        sized = buckets.join(main.filter("outside > 0"), "bucket")
+        outer = sized.filter(F.col("c") != F.col("main"))
+        last = outer.filter("final").select("bucket", F.col("doc_id").alias("a"), F.col("c").alias("ca"))
+        # a bucket with many members outside: some of those are compared with all and are then done with
+        orders = [F.min(F.struct(F.xxhash64("doc_id", F.lit(x)).alias("h"), "doc_id", "c")).alias(f"l{x}") for x in range(LEADERS)]
+        chosen = outer.filter("not final").groupBy("bucket").agg(*orders)
+        led = chosen.select("bucket", F.explode(F.array_distinct(F.array(*[F.struct(F.col(f"l{x}.doc_id").alias("a"), F.col(f"l{x}.c").alias("ca")) for x in range(LEADERS)]))).alias("l")).select("bucket", "l.a", "l.ca")
+        led = kept(led, "nd-leaders")
+        sides = last.unionByName(led)
+        pairs = sides.join(buckets, "bucket").filter(F.col("ca") != F.col("c")).select(F.least("a", "doc_id").alias("a"), F.greatest("a", "doc_id").alias("b"))
+        sims = _compared(pairs, sets).filter(F.col("inter") * 100 >= F.col("total") * percent).select(F.col("a").alias("u"), F.col("b").alias("v"))
+        links = kept(sims if links is None else links.unionByName(sims), "nd-links")
+        if led.isEmpty():
+            return links
+        rest = sized.filter("not final").select("bucket", "doc_id").join(led.select("bucket", F.col("a").alias("doc_id")), ["bucket", "doc_id"], "left_anti")
         comp = components(links)
-        buckets = buckets.join(comp, buckets["doc_id"] == comp["node"], "left").select("bucket", "doc_id", "inner", F.coalesce("component", "doc_id").alias("c"))
-        mixed = buckets.groupBy("bucket").agg(F.min("c").alias("c0"), F.max("c").alias("c1"), F.max(~F.col("inner")).alias("open")).filter("c0 <> c1 and open")
-        buckets = kept(buckets.join(mixed.select("bucket"), "bucket", "left_semi").select("bucket", "doc_id", "inner"), "nd-buckets")
-    else:
-        raise RuntimeError("buckets did not settle")
-    return links
+        buckets = kept(rest.join(comp, rest["doc_id"] == comp["node"], "left").select("bucket", "doc_id", F.coalesce("component", "doc_id").alias("c")), "nd-buckets")
+    raise RuntimeError("buckets did not settle")
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:

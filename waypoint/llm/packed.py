@@ -13,8 +13,8 @@ import pyarrow as pa
 U64 = np.uint64
 BASE = 0x9E3779B97F4A7C15 | 1
 INVERSE = pow(BASE, -1, 1 << 64)
-#: Bytes handled at a time, so that the 8-byte lanes of one step stay near 8 MB each.
-STEP = 1 << 20
+#: Bytes handled at a time, so that the 8-byte lanes of one step stay in a core's cache.
+STEP = 1 << 17
 
 _space = np.zeros(256, dtype=bool)
 _space[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
@@ -26,10 +26,11 @@ _powers: dict[int, np.ndarray] = {}
 def mixed(x: np.ndarray) -> np.ndarray:
     """A bijective scrambling of 64-bit values."""
     x = x ^ (x >> U64(32))
-    x = x * U64(0xD6E8FEB86659FD93)
-    x = x ^ (x >> U64(29))
-    x = x * U64(0xC2B2AE3D27D4EB4F)
-    return x ^ (x >> U64(32))
+    x *= U64(0xD6E8FEB86659FD93)
+    x ^= x >> U64(29)
+    x *= U64(0xC2B2AE3D27D4EB4F)
+    x ^= x >> U64(32)
+    return x
 
 
 def scalar_mixed(x: int) -> int:
@@ -106,6 +107,15 @@ def lowered(raw: np.ndarray) -> np.ndarray:
     return _lower[raw]
 
 
+def gram_hashes(prefix: np.ndarray, n: int) -> np.ndarray:
+    """:func:`span_hash` of every span of n bytes."""
+    m = len(prefix) - n
+    out = prefix[n:] - prefix[:m]
+    out *= powers(INVERSE, m)
+    out += U64(n)
+    return mixed(out)
+
+
 def word_hashes(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Hash and text number of every lower-cased word."""
     s, e, doc = words(raw, off)
