@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from waypoint.llm import mixing, near_dup, quality, secrets, suffix_dedup, toxicity
+from waypoint.llm import decontaminate, html_text, mixing, near_dup, quality, secrets, suffix_dedup, toxicity
 from waypoint.llm.store import table
 
 
@@ -28,17 +28,27 @@ def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.scored(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op6_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Main text of every page."""
+    return html_text.extracted(table(spark, sf_dir, "pages"))
+
+
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Taken words of every document under the production weights."""
     return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken", "copies", "rate")
 
 
+def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents with a benchmark passage."""
+    return decontaminate.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Secret spans of every document."""
     return secrets.scanned(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {"op1_suffix_dedup": op1_suffix_dedup, "op2_near_dup": op2_near_dup, "op3_toxicity": op3_toxicity, "op5_quality": op5_quality, "op7_mixing": op7_mixing, "op9_secrets": op9_secrets}
+QUERIES = {"op1_suffix_dedup": op1_suffix_dedup, "op2_near_dup": op2_near_dup, "op3_toxicity": op3_toxicity, "op5_quality": op5_quality, "op6_html_text": op6_html_text, "op7_mixing": op7_mixing, "op8_decontaminate": op8_decontaminate, "op9_secrets": op9_secrets}
 NEAR_DUP_SQL = r"""
 WITH RECURSIVE w AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
