@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from waypoint.llm import decontaminate, html_text, mixing, near_dup, quality, secrets, suffix_dedup, toxicity
+from waypoint.llm import decontaminate, html_text, language_model, mixing, near_dup, quality, secrets, suffix_dedup, toxicity
 from waypoint.llm.store import table
 
 
@@ -48,7 +48,12 @@ def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scanned(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {"op1_suffix_dedup": op1_suffix_dedup, "op2_near_dup": op2_near_dup, "op3_toxicity": op3_toxicity, "op5_quality": op5_quality, "op6_html_text": op6_html_text, "op7_mixing": op7_mixing, "op8_decontaminate": op8_decontaminate, "op9_secrets": op9_secrets}
+def op10_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Language-model scores of every document."""
+    return language_model.scored(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {"op1_suffix_dedup": op1_suffix_dedup, "op2_near_dup": op2_near_dup, "op3_toxicity": op3_toxicity, "op5_quality": op5_quality, "op6_html_text": op6_html_text, "op7_mixing": op7_mixing, "op8_decontaminate": op8_decontaminate, "op9_secrets": op9_secrets, "op10_language_model": op10_language_model}
 NEAR_DUP_SQL = r"""
 WITH RECURSIVE w AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
