@@ -28,13 +28,12 @@ def _star(edges: DataFrame, large: bool) -> DataFrame:
 def components(links: DataFrame, rounds: int = 60) -> DataFrame:
     """``node, component`` (smallest node reachable) of every node that occurs in ``links`` (u, v) with a different partner."""
     edges = kept(links.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).filter("u <> v").distinct(), "cc")
-    mark = None
     for _ in range(rounds):
         edges = kept(_star(_star(edges, True), False), "cc")
-        now = edges.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("s")).first()
-        if (now["n"], now["s"]) == mark:
+        ends = edges.select(F.col("u").alias("node"), F.lit(1).alias("up"), F.lit(0).alias("root")).unionByName(edges.select(F.col("v").alias("node"), F.lit(0).alias("up"), F.lit(1).alias("root")))
+        # stars alone: every node hangs on one root, and no root hangs on another
+        if ends.groupBy("node").agg(F.sum("up").alias("up"), F.max("root").alias("root")).filter("up > 1 or (up = 1 and root = 1)").isEmpty():
             break
-        mark = (now["n"], now["s"])
     else:
         raise RuntimeError("components did not settle")
     roots = edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()

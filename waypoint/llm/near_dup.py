@@ -35,8 +35,8 @@ U64 = np.uint64
 PLACES, ROWS = 80, 4
 BANDS = PLACES // ROWS
 #: With up to PAIRS members outside a bucket's largest component, or up to MOST_PAIRS pairs in all, all open pairs are compared.
-PAIRS, MOST_PAIRS = 12, 1200
-#: Members that lead at a time in other buckets.
+PAIRS, MOST_PAIRS = 12, 16384
+#: Members that lead in other buckets in the first round; four times as many in each round after it.
 LEADERS = 6
 
 
@@ -146,7 +146,7 @@ def _compared(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return out.select("a", "b", "inter", (F.col("n") - F.col("inter")).alias("total"))
 
 
-def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, rounds: int = 200) -> DataFrame:
+def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, rounds: int = 40) -> DataFrame:
     """Verified links (u, v) between classes that share a bucket, enough to hold every component together."""
     members = classes.filter("n_shingles > 0").select("doc_id", F.posexplode("bands").alias("band", "key"))
     shared = members.groupBy("band", "key").agg(F.count("*").alias("n")).filter("n > 1")
@@ -154,7 +154,7 @@ def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, ro
     buckets = kept(buckets, "nd-buckets")
     sets = kept(shingle_sets(docs.select("doc_id", "text").join(buckets.select("doc_id").distinct(), "doc_id", "left_semi"), k), "nd-sets")
     links = None
-    for _ in range(rounds):
+    for turn in range(rounds):
         # the largest component of each bucket, and how many members are outside it
         parts = buckets.groupBy("bucket", "c").agg(F.count("*").alias("n"))
         main = parts.groupBy("bucket").agg(F.sum("n").alias("n"), F.max(F.struct("n", "c")).alias("m")).select("bucket", "n", F.col("m.c").alias("main"), (F.col("n") - F.col("m.n")).alias("outside"))
@@ -163,9 +163,9 @@ def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, ro
         outer = sized.filter(F.col("c") != F.col("main"))
         last = outer.filter("final").select("bucket", F.col("doc_id").alias("a"), F.col("c").alias("ca"))
         # a bucket with many members outside: some of those are compared with all and are then done with
-        orders = [F.min(F.struct(F.xxhash64("doc_id", F.lit(x)).alias("h"), "doc_id", "c")).alias(f"l{x}") for x in range(LEADERS)]
-        chosen = outer.filter("not final").groupBy("bucket").agg(*orders)
-        led = chosen.select("bucket", F.explode(F.array_distinct(F.array(*[F.struct(F.col(f"l{x}.doc_id").alias("a"), F.col(f"l{x}.c").alias("ca")) for x in range(LEADERS)]))).alias("l")).select("bucket", "l.a", "l.ca")
+        leaders = LEADERS * 4 ** min(turn, 3)
+        lots = outer.filter("not final").groupBy("bucket", F.pmod(F.xxhash64("doc_id", F.lit(turn)), F.lit(leaders)).alias("lot"))
+        led = lots.agg(F.min(F.struct("doc_id", "c")).alias("l")).select("bucket", F.col("l.doc_id").alias("a"), F.col("l.c").alias("ca"))
         led = kept(led, "nd-leaders")
         sides = last.unionByName(led)
         pairs = sides.join(buckets, "bucket").filter(F.col("ca") != F.col("c")).select(F.least("a", "doc_id").alias("a"), F.greatest("a", "doc_id").alias("b"))
