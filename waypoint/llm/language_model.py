@@ -103,16 +103,19 @@ class EliasFano:
         in_reach = up < int(self.ranks[-1])
         todo = np.flatnonzero(in_reach)
         up = up[todo]
-        place = np.where(up > 0, self._zero(np.maximum(up - 1, 0)) + 1, 0)
         low = wanted[todo] & U64((1 << self.low_bits) - 1)
-        while len(todo):
-            one = self.high[place >> 3] >> (place & 7).astype(np.uint8) & 1 == 1
-            todo, up, place, low = todo[one], up[one], place[one], low[one]
-            at = place - up
-            mine = self._low(at)
-            out[todo[mine == low]] = at[mine == low]
-            on = mine < low
-            todo, up, place, low = todo[on], up[on], place[on] + 1, low[on]
+        # those of the same high bits, and a binary search among them
+        at = np.where(up > 0, self._zero(np.maximum(up - 1, 0)) + 1 - up, 0)
+        end = self._zero(up) - up
+        stop = end.copy()
+        while (open_ := np.flatnonzero(at < stop)).size:
+            mid = (at[open_] + stop[open_]) >> 1
+            under = self._low(mid) < low[open_]
+            at[open_] = np.where(under, mid + 1, at[open_])
+            stop[open_] = np.where(under, stop[open_], mid)
+        hit = np.flatnonzero(at < end)
+        hit = hit[self._low(at[hit]) == low[hit]]
+        out[todo[hit]] = at[hit]
         return out
 
     def values(self) -> np.ndarray:
