@@ -9,7 +9,7 @@ Candidates. Texts of equal shingle sets are one class (its smallest id stands fo
 band's R places share a bucket, and bucket mates are compared unless they are in one component already. That is
 done without emitting all pairs: while many members of a bucket are outside its largest component, a few of them lead (they are compared with every
 other member, which takes a fixed number of pairs a member, and are then done with) and components are found anew; once few are outside, each
-of them is compared with all others. So no link between different components of bucket mates is lost, whatever the size
+of them is compared with all others. Buckets that stay open for two rounds are dealt anew by rare shingles, which keeps all links. So no link between different components of bucket mates is lost, whatever the size
 of the bucket, and a large group of near copies takes two rounds. Every link is confirmed on full sets.
 
 Defined results: a null or empty text (or one without words) has an empty set and is linked with nothing, not
@@ -34,10 +34,11 @@ from waypoint.llm.store import kept
 U64 = np.uint64
 PLACES, ROWS = 80, 4
 BANDS = PLACES // ROWS
-#: With up to PAIRS members outside a bucket's largest component, or up to MOST_PAIRS pairs in all, all open pairs are compared.
-PAIRS, MOST_PAIRS = 12, 16384
+#: With up to PAIRS members outside a bucket's largest component all open pairs are compared; after the first round also
+#: where those are up to MOST_PAIRS in all.
+PAIRS, MOST_PAIRS = 8, 16384
 #: Members that lead in other buckets in the first round; four times as many in each round after it.
-LEADERS = 6
+LEADERS = 2
 
 
 def signatures(hashes: np.ndarray, first: np.ndarray, m: int = PLACES) -> np.ndarray:
@@ -136,46 +137,66 @@ def shingle_sets(docs: DataFrame, k: int) -> DataFrame:
     return docs.select("doc_id", F.col("text").cast("binary").alias("text")).mapInArrow(run, "doc_id long, shingles array<long>")
 
 
-def _compared(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """``a, b, inter, total`` of the distinct ``pairs``: sizes of the intersection and of the union."""
+def _linked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The ``pairs`` (a, b) whose sets are alike, as links (u, v). Pairs are written first, so few of them are sent to the sets."""
+    pairs = kept(pairs.distinct(), "nd-pairs")
     left = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("sa"))
     right = sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("sb"))
-    both = pairs.select("a", "b").distinct().join(left, "a").join(right, "b")
     inter = F.size(F.array_intersect("sa", "sb")).cast("long")
-    out = both.select("a", "b", inter.alias("inter"), (F.size("sa") + F.size("sb")).cast("long").alias("n"))
-    return out.select("a", "b", "inter", (F.col("n") - F.col("inter")).alias("total"))
+    both = pairs.join(left, "a").join(right, "b").select("a", "b", inter.alias("inter"), (F.size("sa") + F.size("sb")).cast("long").alias("n"))
+    return both.filter(F.col("inter") * 100 >= (F.col("n") - F.col("inter")) * percent).select(F.col("a").alias("u"), F.col("b").alias("v"))
+
+
+def by_rare_shingles(buckets: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Buckets of many unlike members (those that share a long common passage, say) dealt anew, by rare shingles.
+
+    With all shingles in one order, rarest first, two sets of n shingles or more that are alike share one of the
+    first n - ceil(percent * n) + 1 of each: so no link between the members is lost, and what many share seldom comes first.
+    """
+    members = buckets.select("doc_id", "size", "c").distinct()
+    each = sets.join(members, "doc_id").select("doc_id", "size", "c", F.explode("shingles").alias("s"))
+    often = each.groupBy("s").agg(F.count("*").alias("df"))
+    listed = each.join(often, "s").groupBy("doc_id", "size", "c").agg(F.array_sort(F.collect_list(F.struct("df", "s"))).alias("l"))
+    first = F.slice("l", F.lit(1), (F.col("size") - F.ceil(F.col("size") * percent / 100) + 1).cast("int"))
+    return listed.select("doc_id", "size", "c", F.explode(first).alias("x")).filter("x.df > 1").select(F.col("x.s").alias("bucket"), "doc_id", "size", "c")
 
 
 def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, rounds: int = 40) -> DataFrame:
-    """Verified links (u, v) between classes that share a bucket, enough to hold every component together."""
-    members = classes.filter("n_shingles > 0").select("doc_id", F.posexplode("bands").alias("band", "key"))
+    """``node, component`` of the classes that a verified link joins to another, by all links between bucket mates."""
+    members = classes.filter("n_shingles > 0").select("doc_id", F.col("n_shingles").alias("size"), F.posexplode("bands").alias("band", "key"))
     shared = members.groupBy("band", "key").agg(F.count("*").alias("n")).filter("n > 1")
-    buckets = members.join(shared.select("band", "key"), ["band", "key"]).select(F.xxhash64("band", "key").alias("bucket"), "doc_id", F.col("doc_id").alias("c"))
+    buckets = members.join(shared.select("band", "key"), ["band", "key"]).select(F.xxhash64("band", "key").alias("bucket"), "doc_id", "size", F.col("doc_id").alias("c"))
     buckets = kept(buckets, "nd-buckets")
-    sets = kept(shingle_sets(docs.select("doc_id", "text").join(buckets.select("doc_id").distinct(), "doc_id", "left_semi"), k), "nd-sets")
-    links = None
+    # the ids are the hashed side, so texts pass by unsorted
+    sets = kept(shingle_sets(docs.select("doc_id", "text").join(buckets.select("doc_id").distinct().hint("shuffle_hash"), "doc_id", "left_semi"), k), "nd-sets")
+    comp = None
     for turn in range(rounds):
         # the largest component of each bucket, and how many members are outside it
         parts = buckets.groupBy("bucket", "c").agg(F.count("*").alias("n"))
         main = parts.groupBy("bucket").agg(F.sum("n").alias("n"), F.max(F.struct("n", "c")).alias("m")).select("bucket", "n", F.col("m.c").alias("main"), (F.col("n") - F.col("m.n")).alias("outside"))
-        main = main.withColumn("final", (F.col("outside") <= PAIRS) | (F.col("outside") * F.col("n") <= MOST_PAIRS))
+        most = MOST_PAIRS if turn else PAIRS * PAIRS
+        main = main.withColumn("final", (F.col("outside") <= PAIRS) | (F.col("outside") * F.col("n") <= most))
         sized = buckets.join(main.filter("outside > 0"), "bucket")
         outer = sized.filter(F.col("c") != F.col("main"))
-        last = outer.filter("final").select("bucket", F.col("doc_id").alias("a"), F.col("c").alias("ca"))
+        last = outer.filter("final").select("bucket", F.col("doc_id").alias("a"), F.col("c").alias("ca"), F.col("size").alias("sa"))
         # a bucket with many members outside: some of those are compared with all and are then done with
-        leaders = LEADERS * 4 ** min(turn, 3)
+        leaders = LEADERS * 4 ** min(turn, 4)
         lots = outer.filter("not final").groupBy("bucket", F.pmod(F.xxhash64("doc_id", F.lit(turn)), F.lit(leaders)).alias("lot"))
-        led = lots.agg(F.min(F.struct("doc_id", "c")).alias("l")).select("bucket", F.col("l.doc_id").alias("a"), F.col("l.c").alias("ca"))
+        led = lots.agg(F.min(F.struct("doc_id", "c", "size")).alias("l")).select("bucket", F.col("l.doc_id").alias("a"), F.col("l.c").alias("ca"), F.col("l.size").alias("sa"))
         led = kept(led, "nd-leaders")
-        sides = last.unionByName(led)
-        pairs = sides.join(buckets, "bucket").filter(F.col("ca") != F.col("c")).select(F.least("a", "doc_id").alias("a"), F.greatest("a", "doc_id").alias("b"))
-        sims = _compared(pairs, sets).filter(F.col("inter") * 100 >= F.col("total") * percent).select(F.col("a").alias("u"), F.col("b").alias("v"))
-        links = kept(sims if links is None else links.unionByName(sims), "nd-links")
+        # sets of too different sizes can't be alike
+        alike = (F.col("ca") != F.col("c")) & (F.least("sa", "size") * 100 >= F.greatest("sa", "size") * percent)
+        pairs = last.unionByName(led).join(buckets, "bucket").filter(alike).select(F.least("a", "doc_id").alias("a"), F.greatest("a", "doc_id").alias("b"))
+        links = _linked(pairs, sets, percent)
+        if comp is not None:
+            links = links.unionByName(comp.filter("node <> component").select(F.col("node").alias("u"), F.col("component").alias("v")))
+        comp = kept(components(links), "nd-components")
         if led.isEmpty():
-            return links
-        rest = sized.filter("not final").select("bucket", "doc_id").join(led.select("bucket", F.col("a").alias("doc_id")), ["bucket", "doc_id"], "left_anti")
-        comp = components(links)
-        buckets = kept(rest.join(comp, rest["doc_id"] == comp["node"], "left").select("bucket", "doc_id", F.coalesce("component", "doc_id").alias("c")), "nd-buckets")
+            return comp
+        rest = sized.filter("not final").select("bucket", "doc_id", "size").join(led.select("bucket", F.col("a").alias("doc_id")), ["bucket", "doc_id"], "left_anti")
+        buckets = kept(rest.join(comp, rest["doc_id"] == comp["node"], "left").select("bucket", "doc_id", "size", F.coalesce("component", "doc_id").alias("c")), "nd-buckets")
+        if turn == 1:
+            buckets = kept(by_rare_shingles(buckets, sets, percent), "nd-buckets")
     raise RuntimeError("buckets did not settle")
 
 
@@ -185,8 +206,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     own = F.when(F.col("n_shingles") > 0, F.lit(0)).otherwise(F.col("doc_id"))
     keys = [own.alias("own"), "n_shingles", "d1", "d2"]
     classes = kept(signs.groupBy(*keys).agg(F.min("doc_id").alias("doc_id"), F.first("bands").alias("bands")), "nd-classes")
-    links = linked_classes(classes, docs, k, percent)
-    comp = components(links)
+    comp = linked_classes(classes, docs, k, percent)
     named = classes.select("own", "n_shingles", "d1", "d2", F.col("doc_id").alias("node")).join(comp, "node", "left")
     named = named.select("own", "n_shingles", "d1", "d2", F.coalesce("component", "node").alias("component_id"))
     joined = signs.withColumn("own", own).drop("bands").join(named, ["own", "n_shingles", "d1", "d2"])
