@@ -7,7 +7,7 @@ fingerprints within RADIUS bits: cut into RADIUS + 1 blocks, two such fingerprin
 (word count, block, bits) misses none. The pairs that it yields are verified by their exact weighted Jaccard similarity.
 A shingle's weight falls with the number of items that have it, so what many items share counts less.
 
-Only the benchmark's shingles can be broadcast (Spark decides by their size); everything of the documents is
+Only the benchmark's shingles are sent to all tasks, up to a fixed number; everything of the documents is
 joined and aggregated. Defined results: null or empty texts meet nothing; items of fewer than K words have one shingle, the
 whole; a document shorter than an item is one window; repeated rows are reported alike; several places of one item are
 reported once, at the best; an empty table gives an empty result; extra columns stay in :func:`decontaminated`.
@@ -24,6 +24,8 @@ K = 5
 LEAST = 0.8
 RADIUS = 19
 _BITS = 64
+#: Benchmark shingles that a filter may hold; a larger benchmark is joined.
+MOST_SHINGLES = 50_000
 
 
 def _clean(text: Column) -> Column:
@@ -57,6 +59,19 @@ def _blocks(print_: Column, radius: int) -> Column:
     return F.array(*[F.shiftrightunsigned(print_, a).bitwiseAND(F.lit((1 << (b - a)) - 1).cast("long")) for a, b in zip(edges, edges[1:], strict=False)])
 
 
+def touched(words: DataFrame, items: DataFrame, k: int) -> DataFrame:
+    """The texts that share a shingle with an item, written. Up to MOST_SHINGLES of the benchmark stand in the
+    filter itself, so that no text is shuffled; beyond that the texts are found by a join of shingles."""
+    known = [r["h"] for r in items.select("h").distinct().limit(MOST_SHINGLES + 1).collect()]
+    if not known:
+        return words.limit(0)
+    if len(known) <= MOST_SHINGLES:
+        listed = ", ".join(f"{h}L" if h > -(2**63) else "bigint('-9223372036854775808')" for h in known)
+        return kept(words.withColumn("sh", shingle_texts(F.col("t"), k)).filter(F.expr(f"exists(sh, s -> xxhash64(s) IN ({listed}))")).drop("sh"), "dc-touched")
+    spots = words.select("doc_id", F.explode(shingle_texts(F.col("t"), k)).alias("s")).select("doc_id", F.xxhash64("s").alias("h"))
+    return kept(words.join(spots.join(items.select("h").distinct(), "h", "left_semi").select("doc_id").distinct().hint("shuffle_hash"), "doc_id", "left_semi"), "dc-touched")
+
+
 def leaks(docs: DataFrame, items: DataFrame, least: float = LEAST, radius: int = RADIUS, k: int = K) -> DataFrame:
     """``doc_id, item_id, start`` (word number), ``distance`` and ``similarity`` of every document with a window like an item."""
     items = items.select(F.col("item_id"), _clean(F.col("text")).alias("t")).filter("t <> ''").select("item_id", _n_words(F.col("t")).alias("n"), F.posexplode(shingle_texts(F.col("t"), k)).alias("q", "s"))
@@ -69,7 +84,7 @@ def leaks(docs: DataFrame, items: DataFrame, least: float = LEAST, radius: int =
     known = kept(known.select("item_id", "n", "hs", "ws", "weight", _packed().alias("print")), "dc-known")
 
     # where shingles of documents meet those of items
-    words = docs.select("doc_id", _clean(F.col("text")).alias("t"))
+    words = touched(docs.select("doc_id", _clean(F.col("text")).alias("t")), items, k)
     spots = words.select("doc_id", F.posexplode(shingle_texts(F.col("t"), k)).alias("p", "s")).select("doc_id", "p", F.xxhash64("s").alias("h"))
     met = spots.join(items, "h").select("doc_id", "n", (F.col("p") - F.col("q")).alias("start"))
     windows = kept(met.distinct(), "dc-windows")
