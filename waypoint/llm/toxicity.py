@@ -68,16 +68,27 @@ def word_bags(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np
 
 
 def passages(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """The distinct words of a run of texts (start, end), each word's passage and number, and the text of each passage."""
+    """Start, end, hash and passage of every word of a run of texts, and the text of each passage."""
     s, e, doc = packed.words(raw, off)
     n = len(off) - 1
     count = np.bincount(doc, minlength=n) if len(doc) else np.zeros(n, dtype=np.int64)
     per = np.maximum(-(-count // PASSAGE), 1)
     first_word, first_passage = np.cumsum(count) - count, np.cumsum(per) - per
     passage = first_passage[doc] + (np.arange(len(doc)) - first_word[doc]) // PASSAGE if len(doc) else np.zeros(0, dtype=np.int64)
-    h = packed.span_hash(packed.prefix_hash(raw), s, e)
-    _, at, inverse = np.unique(h, return_index=True, return_inverse=True)
-    return s[at], e[at], passage, inverse, np.repeat(np.arange(n), per)
+    return s, e, packed.span_hash(packed.prefix_hash(raw), s, e), passage, np.repeat(np.arange(n), per)
+
+
+def _sample(raw: np.ndarray, off: np.ndarray):
+    """:func:`passages` of a whole sample, a piece at a time, with the distinct words numbered."""
+    parts, n_passages = [], 0
+    for i, j in packed.pieces(off):
+        s, e, h, passage, text_of = passages(raw[off[i] : off[j]], off[i : j + 1] - off[i])
+        parts.append(((s + off[i]).astype(np.int64), (e - s).astype(np.int32), h, (passage + n_passages).astype(np.int32), (text_of + i).astype(np.int32)))
+        n_passages += len(text_of)
+    s, size, h, passage, text_of = (np.concatenate(x) for x in zip(*parts, strict=True))
+    del parts
+    _, at, word = np.unique(h, return_index=True, return_inverse=True)
+    return s[at], s[at] + size[at], passage, word.astype(np.int32), text_of
 
 
 def _means(values: np.ndarray, first: np.ndarray) -> np.ndarray:
@@ -92,25 +103,29 @@ def _means(values: np.ndarray, first: np.ndarray) -> np.ndarray:
 
 
 class _Sparse:
-    """A row-averaging matrix with its transpose, by sorted sums."""
+    """A row-averaging matrix with its transpose, by sorted sums, a dimension at a time so that little memory is in use."""
 
     def __init__(self, cols: np.ndarray, first: np.ndarray, n_cols: int):
-        self.cols, self.first = cols, first
-        counts = np.diff(first)
-        rows = np.repeat(np.arange(len(counts)), counts)
-        order = np.argsort(cols, kind="stable")
-        self.t_rows = rows[order]
-        self.t_weight = (1.0 / np.maximum(counts, 1))[self.t_rows].astype(np.float32)[:, None]
-        self.t_first = np.concatenate([[0], np.cumsum(np.bincount(cols, minlength=n_cols))])
-        self.full = np.diff(self.t_first) > 0
+        self.cols, self.counts = cols.astype(np.int32), np.diff(first)
+        self.full_rows, self.first = self.counts > 0, first[:-1][self.counts > 0]
+        rows = np.repeat(np.arange(len(self.counts), dtype=np.int32), self.counts)
+        self.t_rows = rows[np.argsort(cols, kind="stable")]
+        t_counts = np.bincount(cols, minlength=n_cols)
+        self.full_cols, self.t_first = t_counts > 0, (np.cumsum(t_counts) - t_counts)[t_counts > 0]
 
     def times(self, x: np.ndarray) -> np.ndarray:
-        return _means(x[self.cols], self.first)
+        out = np.zeros((len(self.counts), x.shape[1]), dtype=np.float32)
+        if self.full_rows.any():
+            for k in range(x.shape[1]):
+                out[self.full_rows, k] = np.add.reduceat(x[:, k].copy()[self.cols], self.first)
+        return out / np.maximum(self.counts, 1)[:, None].astype(np.float32)
 
     def back(self, g: np.ndarray) -> np.ndarray:
-        out = np.zeros((len(self.full), g.shape[1]), dtype=np.float32)
-        if self.full.any():
-            out[self.full] = np.add.reduceat(g[self.t_rows] * self.t_weight, self.t_first[:-1][self.full], axis=0)
+        out = np.zeros((len(self.full_cols), g.shape[1]), dtype=np.float32)
+        if self.full_cols.any():
+            each = 1 / np.maximum(self.counts, 1).astype(np.float32)
+            for k in range(g.shape[1]):
+                out[self.full_cols, k] = np.add.reduceat((g[:, k] * each)[self.t_rows], self.t_first)
         return out
 
 
@@ -122,16 +137,23 @@ def fit(texts: pa.Array, y: np.ndarray, epochs: int = 50, rate: float = 0.5, dec
         return Model(np.zeros(1 << BITS, dtype=np.float32), float(np.log(prior / (1 - prior))))
     raw, off = packed.texts(texts)
     raw = packed.lowered(raw)
-    ws, we, passage, word, text_of = passages(raw, off)
+    ws, we, passage, word, text_of = _sample(raw, off)
     # words of one or two texts teach nothing that holds elsewhere; they count as words with the zero vector
-    pairs = np.unique(text_of[passage] * len(ws) + word)
-    used = np.bincount(pairs % len(ws), minlength=len(ws)) >= least_texts
-    number = np.cumsum(used) - 1
+    pairs = np.unique(text_of[passage].astype(np.int64) * len(ws) + word)
+    used = np.bincount(pairs % max(len(ws), 1), minlength=len(ws)) >= least_texts
+    del pairs
+    number = (np.cumsum(used) - 1).astype(np.int32)
     ok = used[word]
     size = np.bincount(passage, minlength=len(text_of))
     passage, word = passage[ok], number[word[ok]]
-    ids, first = word_bags(raw, ws[used], we[used])
-    buckets, ids = np.unique(ids, return_inverse=True)
+    ws, we = ws[used], we[used]
+    ids, sizes = [np.zeros(0, dtype=np.int32)], [np.zeros(1, dtype=np.int64)]
+    for k in range(0, len(ws), 1 << 14):
+        some, begins = word_bags(raw, ws[k : k + (1 << 14)], we[k : k + (1 << 14)])
+        ids.append(some.astype(np.int32))
+        sizes.append(np.diff(begins))
+    first = np.cumsum(np.concatenate(sizes))
+    buckets, ids = np.unique(np.concatenate(ids), return_inverse=True)
     bags = _Sparse(ids, first, len(buckets))
     kept = np.bincount(passage, minlength=len(text_of))
     parts = _Sparse(word, np.concatenate([[0], np.cumsum(kept)]), int(used.sum()))
@@ -170,7 +192,9 @@ def scores(model: Model, column: pa.Array) -> np.ndarray:
     out = np.zeros(len(off) - 1)
     for i, j in packed.pieces(off):
         part, edges = packed.lowered(raw[off[i] : off[j]]), off[i : j + 1] - off[i]
-        s, e, passage, word, text_of = passages(part, edges)
+        s, e, h, passage, text_of = passages(part, edges)
+        _, at, word = np.unique(h, return_index=True, return_inverse=True)
+        s, e = s[at], e[at]
         value = np.zeros(len(s))
         for k in range(0, len(s), 1 << 16):
             ids, first = word_bags(part, s[k : k + (1 << 16)], e[k : k + (1 << 16)])
