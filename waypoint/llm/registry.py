@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from waypoint.llm import decontaminate, html_text, language_model, mixing, near_dup, quality, secrets, suffix_dedup, toxicity
+from waypoint.llm import decontaminate, html_text, language_model, mixing, near_dup, quality, search, secrets, suffix_dedup, toxicity
 from waypoint.llm.store import table
 
 
@@ -23,6 +24,12 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.scored(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op4_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ten best documents for the whole text of every document whose id is divisible by 20."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return search.search(docs, docs.filter("doc_id % 20 = 0").select(F.col("doc_id").alias("query_id"), "text"), k=10)
+
+
 def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Quality of every document."""
     return quality.scored(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
@@ -53,7 +60,7 @@ def op10_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_model.scored(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {"op1_suffix_dedup": op1_suffix_dedup, "op2_near_dup": op2_near_dup, "op3_toxicity": op3_toxicity, "op5_quality": op5_quality, "op6_html_text": op6_html_text, "op7_mixing": op7_mixing, "op8_decontaminate": op8_decontaminate, "op9_secrets": op9_secrets, "op10_language_model": op10_language_model}
+QUERIES = {"op1_suffix_dedup": op1_suffix_dedup, "op2_near_dup": op2_near_dup, "op3_toxicity": op3_toxicity, "op4_search": op4_search, "op5_quality": op5_quality, "op6_html_text": op6_html_text, "op7_mixing": op7_mixing, "op8_decontaminate": op8_decontaminate, "op9_secrets": op9_secrets, "op10_language_model": op10_language_model}
 NEAR_DUP_SQL = r"""
 WITH RECURSIVE w AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
@@ -68,4 +75,20 @@ r(doc_id, root) AS (SELECT doc_id, doc_id FROM documents UNION SELECT e.v, r.roo
 SELECT r.doc_id, any_value(n.n)::BIGINT AS n_shingles, min(root) AS component_id, r.doc_id = min(root) AS kept
 FROM r JOIN n USING (doc_id) GROUP BY r.doc_id
 """
-ORACLES: dict[str, str] = {"op2_near_dup": NEAR_DUP_SQL}
+SEARCH_SQL = r"""
+WITH w AS (
+  SELECT doc_id, rowid_ AS id, unnest(regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+')) AS t
+  FROM (SELECT doc_id, text, row_number() OVER () AS rowid_ FROM documents)),
+p AS (SELECT doc_id, id, t, count(*)::DOUBLE AS tf FROM w GROUP BY ALL),
+len AS (SELECT id, count(*)::DOUBLE AS words FROM w GROUP BY id),
+s AS (SELECT (SELECT count(*) FROM documents)::DOUBLE AS n, (SELECT count(*) FROM w)::DOUBLE / (SELECT count(*) FROM documents)::DOUBLE AS average),
+idf AS (SELECT t, ln(1e0 + (any_value(n) - count(*)::DOUBLE + 5e-1) / (count(*)::DOUBLE + 5e-1)) AS idf FROM p, s GROUP BY t),
+c AS (
+  SELECT doc_id, id, t, floor(idf * (tf * (12e-1 + 1e0) / (tf + 12e-1 * (1e0 - 75e-2 + 75e-2 * words / average))) * 1048576e0 + 5e-1)::BIGINT AS part
+  FROM p JOIN len USING (id) JOIN idf USING (t), s),
+q AS (SELECT DISTINCT doc_id AS query_id, t FROM w WHERE doc_id % 20 = 0),
+h AS (SELECT query_id, doc_id, id, sum(part)::BIGINT AS score FROM q JOIN c USING (t) GROUP BY ALL)
+SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, doc_id)::INTEGER AS rank, doc_id, score / 1048576e0 AS score
+FROM h QUALIFY rank <= 10
+"""
+ORACLES: dict[str, str] = {"op2_near_dup": NEAR_DUP_SQL, "op4_search": SEARCH_SQL}
