@@ -9,7 +9,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from waypoint.llm import decontaminate, html_text, language_model, mixing, near_dup, packed, quality, secrets, suffix_dedup, toxicity
+from waypoint.llm import decontaminate, html_text, language_model, mixing, near_dup, packed, quality, search, secrets, suffix_dedup, toxicity
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -208,3 +208,44 @@ def test_packed_words():
     raw, off = packed.texts(pa.array(["Ab  c", None, "\x0bd\t", "x"]))
     s, e, doc = packed.words(raw, off)
     assert [bytes(raw[a:b]) for a, b in zip(s, e, strict=True)] == [b"Ab", b"c", b"d", b"x"] and doc.tolist() == [0, 0, 2, 3]
+
+
+def brute_search(texts, asked, k):
+    bags = [collections.Counter(re.findall(r"[^\x20\x09-\x0D]+", "".join(c.lower() if "A" <= c <= "Z" else c for c in t or ""))) for t in texts]
+    n, df = len(texts), collections.Counter(w for b in bags for w in b)
+    average = sum(b.total() for b in bags) / n
+    out = []
+    for q in asked:
+        hits = []
+        for i, b in enumerate(bags):
+            parts = [(math.log(1 + (n - df[w] + 0.5) / (df[w] + 0.5)), b[w]) for w in bags[q] if w in b]
+            score = sum(math.floor(idf * (tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * b.total() / average))) * 2**20 + 0.5) for idf, tf in parts)
+            if score:
+                hits.append((-score, i))
+        out += [(q, r + 1, i, -s / 2**20) for r, (s, i) in enumerate(sorted(hits)[:k])]
+    return out
+
+
+@pytest.mark.parametrize(("block", "postings", "sample"), [(128, 1 << 22, 20), (4, 900, 3)])
+def test_search_against_brute_force(spark, monkeypatch, block, postings, sample):
+    monkeypatch.setattr(search, "BLOCK", block)
+    monkeypatch.setattr(search, "POSTINGS", postings)
+    monkeypatch.setattr(search, "SAMPLE", sample)
+    rng = random.Random(8)
+    vocabulary = words(rng, 300).split()
+    texts = [" ".join(vocabulary[int(len(vocabulary) * rng.random() ** 3)] for _ in range(rng.randint(1, 60))) for _ in range(150)]
+    texts += [texts[3], texts[3].upper(), "", None, " \t\n", "nowhere else", " ".join(vocabulary * 9), texts[7] + " é"]
+    table = docs(spark, texts).repartition(3, "doc_id").selectExpr("*", "1 as score", "2 as rank", "3 as terms")
+    asked = [0, 3, 7, 20, 40, 60, 150, 152, 153, 154, 155, 156]
+    queries = docs(spark, texts).filter(f"doc_id in ({', '.join(map(str, asked))})").selectExpr("doc_id as query_id", "text")
+    got = search.search(table, queries, k=5).orderBy("query_id", "rank").collect()
+    assert [(r["query_id"], r["rank"], r["doc_id"], pytest.approx(r["score"], abs=1e-4)) for r in got] == brute_search(texts, asked, 5)
+
+
+def test_search_of_nulls_and_empty_tables(spark):
+    none = spark.createDataFrame([], DOCS)
+    assert search.search(none, none.selectExpr("doc_id as query_id", "text")).collect() == []
+    some = spark.createDataFrame([(None, "a b", "en", "s", 3), (1, "a", "en", "s", 1), (1, "a", "en", "s", 1)], DOCS)
+    got = search.search(some, some.selectExpr("doc_id as query_id", "text")).orderBy("rank").collect()
+    assert [(r["query_id"], r["doc_id"]) for r in got] == [(1, 1), (1, 1), (1, None)]
+    assert search.search(some, none.selectExpr("doc_id as query_id", "text")).collect() == []
