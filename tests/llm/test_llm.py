@@ -169,6 +169,27 @@ def test_language_model(spark):
         assert r["score"] < 0
 
 
+def model_scores(texts):
+    """Scores of the texts by plain counting, with all pairs."""
+    tokens = {i: (t or "").lower().split() + [None] for i, t in enumerate(texts)}
+    train = [i for i in tokens if zlib.crc32(str(i).encode()) % 7 != 2]
+    c = collections.Counter(w for i in train for w in tokens[i])
+    pairs = collections.Counter(p for i in train for p in zip(["<s>", *tokens[i]], tokens[i]))
+    n, v = sum(c.values()), len(c)
+    c["<s>"] = len(train)
+    p = {w: (c[w] + 1) / (n + v + 1) for ts in tokens.values() for w in ts}
+    mixed = lambda a, b: 0.3 * pairs[a, b] / c[a] + 0.7 * p[b] if c[a] else p[b]
+    return [sum(math.log10(mixed(a, b)) for a, b in zip(["<s>", *ts], ts)) for ts in tokens.values()]
+
+
+def test_language_model_knows_pairs_seen_once(spark):
+    rng = random.Random(10)
+    texts = [" ".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randint(1, 9))) for _ in range(80)] + [None]
+    rows = {r["doc_id"]: r for r in language_model.scored(docs(spark, texts)).collect()}
+    for i, want in enumerate(model_scores(texts)):  # counts are within 3 percent
+        assert abs(rows[i]["score"] - want) < 0.013 * rows[i]["n_tokens"]
+
+
 def test_elias_fano():
     rng = np.random.default_rng(1)
     for top in (100, 10**6, 2**63):

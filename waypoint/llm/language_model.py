@@ -3,13 +3,13 @@
 Counting. Each task counts the distinct words and word pairs of its training texts and sends them, delta-coded and dealt by
 a hash of the n-gram (so no frequent context gathers anywhere), to shards. A shard merges its counts and writes its part of the trie:
 level 1 holds the words and the running sums of their counts (exact); level 2 holds the contexts, monotone pointers to
-the ranges of their successors, the successors as numbers relative to the context, and quantised log counts of pairs seen
-LEAST times or more. Monotone sequences are Elias-Fano coded: low bits in byte planes, high bits in unary with sampled ranks.
+the ranges of their successors, the successors as numbers relative to the context, and quantised log counts of all pairs,
+those seen once too. Monotone sequences are Elias-Fano coded: low bits in byte planes, high bits in unary with sampled ranks.
 
 Scoring. Texts aren't moved: each task maps the shard files (from the shared folder; a copy that is unlinked
 at once where that isn't local) and looks up its distinct n-grams: a context is searched in its level, and its rank gives
 the base from which the successor is searched. The probability of w after v is MIX c(v,w) / c(v) + (1 - MIX) p(w), with c(v,w) 0
-for pairs left out (so the sum over w may stay under 1), p(w) after an unknown v, and p the add-one unigram
+for pairs never seen, p(w) after an unknown v, and p the add-one unigram
 estimate, which is also the base score.
 
 The end of a text is a token, and the start a context. Defined results: a null or empty text is one end token; very long texts are
@@ -37,8 +37,6 @@ from waypoint.llm.store import kept, shared_folder
 U64 = np.uint64
 END, START = U64(0x243F6A8885A308D3), U64(0x13198A2E03707344)
 MIX = 0.3
-#: Pairs seen less often in the training texts are left out of level 2.
-LEAST = 2
 SUCCESSOR_BITS = 24
 STEP = 1 << 21
 
@@ -208,8 +206,6 @@ def _summed(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarra
 def _trie(kind: int, keys: np.ndarray, counts: np.ndarray) -> list[np.ndarray]:
     if kind == 0:
         return [*EliasFano.coded(keys).arrays(), np.cumsum(counts).astype(np.uint64)]
-    often = counts >= LEAST
-    keys, counts = keys[often], counts[often]
     context = keys >> U64(SUCCESSOR_BITS)
     first = np.flatnonzero(np.concatenate([[True], context[1:] != context[:-1]])) if len(keys) else np.zeros(0, np.int64)
     rank = np.repeat(np.arange(len(first)), np.diff(np.append(first, len(keys))))
@@ -333,7 +329,7 @@ class Model:
         ends = float(self.word_counts(np.array([END], dtype=U64))[0])
         of_context[starts] = ends  # as many starts as ends
         pair = np.zeros(len(w))
-        maybe = np.flatnonzero((of_context >= LEAST) & (c >= LEAST))
+        maybe = np.flatnonzero((of_context > 0) & (c > 0))
         keys, back = np.unique(pair_key(v[maybe], w[maybe]), return_inverse=True)
         pair[maybe] = np.minimum(self.pair_counts(keys)[back], np.minimum(of_context[maybe], c[maybe]))
         known = of_context > 0
