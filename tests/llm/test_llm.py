@@ -1,4 +1,5 @@
 import collections
+import functools
 import hashlib
 import math
 import random
@@ -90,6 +91,18 @@ def test_near_duplicates_against_brute_force(spark, monkeypatch):
     assert near_dup.near_duplicates(docs(spark, texts).limit(0), 3, 85).count() == 0
 
 
+def test_near_duplicates_settle_large_groups_of_unlinked_texts(spark, monkeypatch):
+    for name, value in {"PAIRS": 0, "MOST_PAIRS": 0, "LEADERS": 1}.items():
+        monkeypatch.setattr(near_dup, name, value)
+    monkeypatch.setattr(near_dup, "linked_classes", functools.partial(near_dup.linked_classes, rounds=2))
+    rng = random.Random(12)
+    template = words(rng, 60)  # texts of one template that are about 0.77 alike, and two that are linked to others
+    texts = [template + " " + words(rng, 8) for _ in range(90)]
+    texts += [texts[17] + " more", "less " + texts[60]]
+    got = near_dup.near_duplicates(docs(spark, texts), 3, 85).orderBy("doc_id").collect()
+    assert [(r["n_shingles"], r["component_id"]) for r in got] == brute_components(texts, 3, 85)
+
+
 def test_superminhash_estimates_jaccard():
     rng = np.random.default_rng(4)
     for n in (20, 60, 2000):

@@ -9,7 +9,8 @@ Candidates. Texts of equal shingle sets are one class (its smallest id stands fo
 band's R places share a bucket, and bucket mates are compared unless they are in one component already. That is
 done without emitting all pairs: while many members of a bucket are outside its largest component, a few of them lead (they are compared with every
 other member, which takes a fixed number of pairs a member, and are then done with) and components are found anew; once few are outside, each
-of them is compared with all others. Buckets that stay open for two rounds are dealt anew by rare shingles, which keeps all links. So no link between different components of bucket mates is lost, whatever the size
+of them is compared with all others. Buckets that stay open for two rounds are dealt anew by rare shingles, which keeps all links, and pairs are then left out
+by how few shingles follow the one they share. So no link between different components of bucket mates is lost, whatever the size
 of the bucket, and a large group of near copies takes two rounds. Every link is confirmed on full sets.
 
 Defined results: a null or empty text (or one without words) has an empty set and is linked with nothing, not
@@ -19,6 +20,7 @@ an empty result; extra columns stay in :func:`deduplicated`. Shingles are told a
 
 from __future__ import annotations
 
+import itertools
 from collections.abc import Iterator
 
 import numpy as np
@@ -158,19 +160,24 @@ def by_rare_shingles(buckets: DataFrame, sets: DataFrame, percent: int) -> DataF
     often = each.groupBy("s").agg(F.count("*").alias("df"))
     listed = each.join(often, "s").groupBy("doc_id", "size", "c").agg(F.array_sort(F.collect_list(F.struct("df", "s"))).alias("l"))
     first = F.slice("l", F.lit(1), (F.col("size") - F.ceil(F.col("size") * percent / 100) + 1).cast("int"))
-    return listed.select("doc_id", "size", "c", F.explode(first).alias("x")).filter("x.df > 1").select(F.col("x.s").alias("bucket"), "doc_id", "size", "c")
+    dealt = listed.select("doc_id", "size", "c", F.posexplode(first).alias("before", "x")).filter("x.df > 1")
+    return dealt.select(F.col("x.s").alias("bucket"), "doc_id", "size", "c", F.col("before").cast("long"))
 
 
 def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, rounds: int = 40) -> DataFrame:
-    """``node, component`` of the classes that a verified link joins to another, by all links between bucket mates."""
+    """``node, component`` of the classes that a verified link joins to another, by all links between bucket mates.
+
+    It goes on until no bucket is open: each round settles a member of every open bucket at least. After ``rounds`` rounds
+    the number that lead doubles each round, so a bucket of any size is done with in few more.
+    """
     members = classes.filter("n_shingles > 0").select("doc_id", F.col("n_shingles").alias("size"), F.posexplode("bands").alias("band", "key"))
     shared = members.groupBy("band", "key").agg(F.count("*").alias("n")).filter("n > 1")
-    buckets = members.join(shared.select("band", "key"), ["band", "key"]).select(F.xxhash64("band", "key").alias("bucket"), "doc_id", "size", F.col("doc_id").alias("c"))
+    buckets = members.join(shared.select("band", "key"), ["band", "key"]).select(F.xxhash64("band", "key").alias("bucket"), "doc_id", "size", F.col("doc_id").alias("c"), F.lit(0).cast("long").alias("before"))
     buckets = kept(buckets, "nd-buckets")
     # the ids are the hashed side, so texts pass by unsorted
     sets = kept(shingle_sets(docs.select("doc_id", "text").join(buckets.select("doc_id").distinct().hint("shuffle_hash"), "doc_id", "left_semi"), k), "nd-sets")
     comp = None
-    for turn in range(rounds):
+    for turn in itertools.count():
         # the largest component of each bucket, and how many members are outside it
         parts = buckets.groupBy("bucket", "c").agg(F.count("*").alias("n"))
         main = parts.groupBy("bucket").agg(F.sum("n").alias("n"), F.max(F.struct("n", "c")).alias("m")).select("bucket", "n", F.col("m.c").alias("main"), (F.col("n") - F.col("m.n")).alias("outside"))
@@ -178,14 +185,15 @@ def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, ro
         main = main.withColumn("final", (F.col("outside") <= PAIRS) | (F.col("outside") * F.col("n") <= most))
         sized = buckets.join(main.filter("outside > 0"), "bucket")
         outer = sized.filter(F.col("c") != F.col("main"))
-        last = outer.filter("final").select("bucket", F.col("doc_id").alias("a"), F.col("c").alias("ca"), F.col("size").alias("sa"))
+        last = outer.filter("final").select("bucket", F.col("doc_id").alias("a"), F.col("c").alias("ca"), F.col("size").alias("sa"), F.col("before").alias("ba"))
         # a bucket with many members outside: some of those are compared with all and are then done with
-        leaders = LEADERS * 4 ** min(turn, 4)
+        leaders = LEADERS * 4 ** min(turn, 4) * 2 ** min(max(turn - rounds, 0), 40)
         lots = outer.filter("not final").groupBy("bucket", F.pmod(F.xxhash64("doc_id", F.lit(turn)), F.lit(leaders)).alias("lot"))
-        led = lots.agg(F.min(F.struct("doc_id", "c", "size")).alias("l")).select("bucket", F.col("l.doc_id").alias("a"), F.col("l.c").alias("ca"), F.col("l.size").alias("sa"))
+        led = lots.agg(F.min(F.struct("doc_id", "c", "size", "before")).alias("l")).select("bucket", F.col("l.doc_id").alias("a"), F.col("l.c").alias("ca"), F.col("l.size").alias("sa"), F.col("l.before").alias("ba"))
         led = kept(led, "nd-leaders")
-        # sets of too different sizes can't be alike
-        alike = (F.col("ca") != F.col("c")) & (F.least("sa", "size") * 100 >= F.greatest("sa", "size") * percent)
+        # sets of too different sizes can't be alike, nor can those whose first common shingle in the order of the buckets has too few after it
+        common = F.least(F.col("sa") - F.col("ba"), F.col("size") - F.col("before"))
+        alike = (F.col("ca") != F.col("c")) & (common * (100 + percent) >= (F.col("sa") + F.col("size")) * percent)
         pairs = last.unionByName(led).join(buckets, "bucket").filter(alike).select(F.least("a", "doc_id").alias("a"), F.greatest("a", "doc_id").alias("b"))
         links = _linked(pairs, sets, percent)
         if comp is not None:
@@ -193,11 +201,10 @@ def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, ro
         comp = kept(components(links), "nd-components")
         if led.isEmpty():
             return comp
-        rest = sized.filter("not final").select("bucket", "doc_id", "size").join(led.select("bucket", F.col("a").alias("doc_id")), ["bucket", "doc_id"], "left_anti")
-        buckets = kept(rest.join(comp, rest["doc_id"] == comp["node"], "left").select("bucket", "doc_id", "size", F.coalesce("component", "doc_id").alias("c")), "nd-buckets")
+        rest = sized.filter("not final").select("bucket", "doc_id", "size", "before").join(led.select("bucket", F.col("a").alias("doc_id")), ["bucket", "doc_id"], "left_anti")
+        buckets = kept(rest.join(comp, rest["doc_id"] == comp["node"], "left").select("bucket", "doc_id", "size", F.coalesce("component", "doc_id").alias("c"), "before"), "nd-buckets")
         if turn == 1:
             buckets = kept(by_rare_shingles(buckets, sets, percent), "nd-buckets")
-    raise RuntimeError("buckets did not settle")
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
