@@ -203,6 +203,12 @@ def test_language_model_knows_pairs_seen_once(spark):
         assert abs(rows[i]["score"] - want) < 0.013 * rows[i]["n_tokens"]
 
 
+def test_large_counts_are_restored():
+    counts = np.concatenate([np.arange(1, 3000), [2_490_000, 3_000_000, 40_000_000, 2**40 + 1, 2**62, 2**63 - 1]])
+    back = language_model.restored(language_model.quantised(counts))
+    assert (np.abs(back / counts - 1) < 4e-4).all()
+
+
 def test_elias_fano():
     rng = np.random.default_rng(1)
     for top in (100, 10**6, 2**63):

@@ -122,12 +122,12 @@ class EliasFano:
 
 
 def quantised(counts: np.ndarray) -> np.ndarray:
-    """Log counts in steps of a twelfth of a doubling, 3 percent at most beside the count."""
-    return np.minimum(np.round(np.log2(np.maximum(counts, 1)) * 12), 255).astype(np.uint8)
+    """Log counts in 16 bits, in steps of 1/1024 of a doubling: every count up to 2^63 comes back within 0.04 percent."""
+    return np.round(np.log2(np.maximum(counts, 1)) * 1024).astype(np.uint16)
 
 
 def restored(q: np.ndarray) -> np.ndarray:
-    return np.exp2(q / 12.0)
+    return np.exp2(q / 1024.0)
 
 
 def pair_key(context: np.ndarray, word: np.ndarray) -> np.ndarray:
@@ -280,7 +280,7 @@ class Model:
             if kind == 0:
                 self.words[shard] = (EliasFano.mapped(parts), next(parts).view(np.uint64))
             else:
-                self.pairs[shard] = (EliasFano.mapped(parts), EliasFano.mapped(parts), EliasFano.mapped(parts), next(parts))
+                self.pairs[shard] = (EliasFano.mapped(parts), EliasFano.mapped(parts), EliasFano.mapped(parts), next(parts).view(np.uint16))
 
     def _by_shard(self, keys: np.ndarray, levels: dict, look) -> np.ndarray:
         out = np.zeros(len(keys))
