@@ -209,6 +209,15 @@ def test_large_counts_are_restored():
     assert (np.abs(back / counts - 1) < 4e-4).all()
 
 
+def test_unseen_successors_of_a_frequent_context_count_as_unseen(spark):
+    train, held = (next(i for i in range(99) if (zlib.crc32(str(i).encode()) % 7 == 2) == out) for out in (False, True))
+    texts = [None] * (max(train, held) + 2)
+    texts[train] = " ".join(f"hot a{k}" for k in range(15000)) + " " + " ".join(f"cold b{k}" for k in range(15000))
+    texts[held] = " ".join(f"hot b{k}" for k in range(15000))
+    rows = {r["doc_id"]: r for r in language_model.scored(docs(spark, texts)).collect()}
+    assert abs(rows[held]["score"] - model_scores(texts)[held]) < 0.01
+
+
 def test_elias_fano():
     rng = np.random.default_rng(1)
     for top in (100, 10**6, 2**63):

@@ -3,18 +3,19 @@
 Counting. Each task counts the distinct words and word pairs of its training texts and sends them, delta-coded and dealt by
 a hash of the n-gram (so no frequent context gathers anywhere), to shards. A shard merges its counts and writes its part of the trie:
 level 1 holds the words and the running sums of their counts (exact); level 2 holds the contexts, monotone pointers to
-the ranges of their successors, the successors as numbers relative to the context, and quantised log counts of all pairs,
-those seen once too. Monotone sequences are Elias-Fano coded: low bits in byte planes, high bits in unary with sampled ranks.
+the ranges of their successors, the successors' whole hashes rising in each range, and quantised log counts of all pairs,
+those seen once too. Monotone sequences are Elias-Fano coded: low bits in byte planes, high bits in unary with sampled ranks;
+the pointers are the high bits of the successors (a context's rank on top of each).
 
 Scoring. Texts aren't moved: each task maps the shard files (from the shared folder; a copy that is unlinked
-at once where that isn't local) and looks up its distinct n-grams: a context is searched in its level, and its rank gives
-the base from which the successor is searched. The probability of w after v is MIX c(v,w) / c(v) + (1 - MIX) p(w), with c(v,w) 0
+at once where that isn't local) and looks up its distinct n-grams: a context is searched in its level, and the successor
+between the pointers of its rank. The probability of w after v is MIX c(v,w) / c(v) + (1 - MIX) p(w), with c(v,w) 0
 for pairs never seen, p(w) after an unknown v, and p the add-one unigram
 estimate, which is also the base score.
 
 The end of a text is a token, and the start a context. Defined results: a null or empty text is one end token; very long texts are
 read whole; repeated rows count and score one by one; without training rows N and V are 0; an empty table gives an empty
-result; extra columns are ignored. Words are told apart by 64-bit hashes.
+result; extra columns are ignored. Words are told apart by 64-bit hashes, in pairs too.
 """
 
 from __future__ import annotations
@@ -37,7 +38,6 @@ from waypoint.llm.store import kept, shared_folder
 U64 = np.uint64
 END, START = U64(0x243F6A8885A308D3), U64(0x13198A2E03707344)
 MIX = 0.3
-SUCCESSOR_BITS = 24
 STEP = 1 << 21
 
 _zeros = np.array([8 - bin(b).count("1") for b in range(256)], dtype=np.uint8)
@@ -60,7 +60,16 @@ class EliasFano:
         low_bits = max(0, ((top // n) | 1).bit_length() - 1) if n else 0
         planes = -(-low_bits // 8)
         low = (values & U64((1 << low_bits) - 1)).view(np.uint8).reshape(n, 8)[:, :planes].T.copy() if n else np.zeros((planes, 0), np.uint8)
-        up = (values >> U64(low_bits)).astype(np.int64)
+        return cls._of((values >> U64(low_bits)).astype(np.int64), low, low_bits)
+
+    @classmethod
+    def ranged(cls, rank: np.ndarray, low: np.ndarray) -> EliasFano:
+        """Whole 64-bit numbers, rising among those of one rank; they lie as they are, not in planes."""
+        return cls._of(rank.astype(np.int64), np.ascontiguousarray(low).view(np.uint8).reshape(8, len(low)), 64)
+
+    @classmethod
+    def _of(cls, up: np.ndarray, low: np.ndarray, low_bits: int) -> EliasFano:
+        n = len(up)
         bits = np.zeros((n + (int(up[-1]) if n else 0) + 1 + 64) // 64 * 64, dtype=np.uint8)
         bits[up + np.arange(n)] = 1
         high = np.packbits(bits, bitorder="little")
@@ -77,6 +86,8 @@ class EliasFano:
         return cls(n, low_bits, low.reshape(-(-low_bits // 8), n), high, ranks.view(np.uint64))
 
     def _low(self, at: np.ndarray) -> np.ndarray:
+        if self.low_bits == 64:
+            return self.low.reshape(-1).view(U64)[at]
         out = np.zeros(len(at), dtype=U64)
         for k in range(self.low.shape[0]):
             out |= self.low[k][at].astype(U64) << U64(8 * k)
@@ -94,14 +105,16 @@ class EliasFano:
 
     def find(self, wanted: np.ndarray) -> np.ndarray:
         """The index of each wanted number, or -1; the first one not under it is reached by a successor search."""
-        out = np.full(len(wanted), -1, dtype=np.int64)
-        if not self.n or not len(wanted):
+        return self.search((wanted >> U64(self.low_bits)).astype(np.int64), wanted & U64((1 << self.low_bits) - 1))
+
+    def search(self, up: np.ndarray, low: np.ndarray) -> np.ndarray:
+        """The index of each number, given by its high and its low bits, or -1."""
+        out = np.full(len(up), -1, dtype=np.int64)
+        if not self.n or not len(up):
             return out
-        up = (wanted >> U64(self.low_bits)).astype(np.int64)
         in_reach = up < int(self.ranks[-1])
         todo = np.flatnonzero(in_reach)
-        up = up[todo]
-        low = wanted[todo] & U64((1 << self.low_bits) - 1)
+        up, low = up[todo], low[todo]
         # those of the same high bits, and a binary search among them
         at = np.where(up > 0, self._zero(np.maximum(up - 1, 0)) + 1 - up, 0)
         end = self._zero(up) - up
@@ -130,14 +143,19 @@ def restored(q: np.ndarray) -> np.ndarray:
     return np.exp2(q / 1024.0)
 
 
-def pair_key(context: np.ndarray, word: np.ndarray) -> np.ndarray:
-    """40 bits of the context on top of 24 bits of its successor."""
-    top = packed.mixed(context) >> U64(SUCCESSOR_BITS) << U64(SUCCESSOR_BITS)
-    return top | (packed.mixed(word ^ context) >> U64(64 - SUCCESSOR_BITS))
+def shard_of(keys: np.ndarray, n: int) -> np.ndarray:
+    """The shards of words (one row of hashes) or pairs (contexts and successors), by all their bits."""
+    key = keys[0] if len(keys) == 1 else packed.mixed(keys[0]) + keys[1]
+    return (packed.mixed(key ^ U64(0x452821E638D01377)) % U64(n)).astype(np.int64)
 
 
-def shard_of(keys: np.ndarray, n: int) -> np.ndarray:
-    return (packed.mixed(keys ^ U64(0x452821E638D01377)) % U64(n)).astype(np.int64)
+def numbered(w: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The distinct words with START, rising, and each token's and its context's places among them."""
+    words, place = np.unique(np.append(w, START), return_inverse=True)
+    context = np.full(len(w), place[-1])
+    inside = np.flatnonzero(v[1:] != START) + 1
+    context[inside] = place[inside - 1]
+    return words, place[:-1], context
 
 
 def tokens(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -158,15 +176,16 @@ def tokens(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np
 
 
 def _coded(keys: np.ndarray) -> bytes:
-    """Rising numbers as eight planes of the bytes of their differences; the upper planes are mostly zeros."""
-    d = keys.copy()
-    d[1:] -= keys[:-1]
-    return d.view(np.uint8).reshape(-1, 8)[:, ::-1].T.tobytes()
+    """Rising numbers as eight planes of the bytes of their differences; the upper planes are mostly zeros. Successors follow as they are."""
+    d = keys[0].copy()
+    d[1:] -= keys[0, :-1]
+    return d.view(np.uint8).reshape(-1, 8)[:, ::-1].T.tobytes() + keys[1:].tobytes()
 
 
-def _decoded(blob: bytes) -> np.ndarray:
-    d = np.frombuffer(blob, dtype=np.uint8).reshape(8, -1).T[:, ::-1].copy().view(U64).reshape(-1)
-    return np.cumsum(d, dtype=U64)
+def _decoded(blob: bytes, width: int) -> np.ndarray:
+    raw = np.frombuffer(blob, dtype=np.uint8).reshape(width, -1)
+    d = raw[0].reshape(8, -1).T[:, ::-1].copy().view(U64).reshape(-1)
+    return np.concatenate([np.cumsum(d, dtype=U64)[None], raw[1:].view(U64)])
 
 
 def _counted(n_shards: int):
@@ -176,8 +195,11 @@ def _counted(n_shards: int):
             found: list[list[tuple[np.ndarray, np.ndarray]]] = [[], []]
             for i, j in packed.pieces(off, STEP):
                 w, v, _ = tokens(raw[off[i] : off[j]], off[i : j + 1] - off[i])
-                for kind, keys in enumerate((w, pair_key(v, w))):
-                    found[kind].append(np.unique(keys, return_counts=True))
+                words, place, context = numbered(w, v)
+                seen = np.bincount(place, minlength=len(words))
+                found[0].append((words[None, seen > 0], seen[seen > 0]))
+                pairs, seen = np.unique(context * len(words) + place, return_counts=True)
+                found[1].append((np.stack([words[pairs // len(words)], words[pairs % len(words)]]), seen))
             for kind in range(2):
                 if not found[kind]:
                     continue
@@ -188,7 +210,7 @@ def _counted(n_shards: int):
                 for s in range(n_shards):
                     mine = order[edges[s] : edges[s + 1]]
                     if len(mine):
-                        yield pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([s], pa.int32()), pa.array([_coded(keys[mine])], pa.binary()), pa.array([counts[mine].astype(np.int64).tobytes()], pa.binary())], names=["kind", "shard", "keys", "counts"])
+                        yield pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([s], pa.int32()), pa.array([_coded(keys[:, mine])], pa.binary()), pa.array([counts[mine].astype(np.int64).tobytes()], pa.binary())], names=["kind", "shard", "keys", "counts"])
 
     return run
 
@@ -196,21 +218,18 @@ def _counted(n_shards: int):
 def _summed(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     if len(keys) == 1:
         return keys[0], counts[0].astype(np.int64)
-    k, c = np.concatenate(keys), np.concatenate(counts).astype(np.int64)
-    order = np.argsort(k, kind="stable")
-    k = k[order]
-    first = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
-    return k[first], np.add.reduceat(c[order], first) if len(k) else c
+    k, c = np.concatenate(keys, axis=1), np.concatenate(counts).astype(np.int64)
+    order = np.lexsort(k[::-1])
+    k = k[:, order]
+    first = np.flatnonzero(np.concatenate([[True], (k[:, 1:] != k[:, :-1]).any(axis=0)]))
+    return k[:, first], np.add.reduceat(c[order], first) if k.size else c
 
 
 def _trie(kind: int, keys: np.ndarray, counts: np.ndarray) -> list[np.ndarray]:
     if kind == 0:
-        return [*EliasFano.coded(keys).arrays(), np.cumsum(counts).astype(np.uint64)]
-    context = keys >> U64(SUCCESSOR_BITS)
-    first = np.flatnonzero(np.concatenate([[True], context[1:] != context[:-1]])) if len(keys) else np.zeros(0, np.int64)
-    rank = np.repeat(np.arange(len(first)), np.diff(np.append(first, len(keys))))
-    relative = (rank.astype(U64) << U64(SUCCESSOR_BITS)) | (keys & U64((1 << SUCCESSOR_BITS) - 1))
-    return [*EliasFano.coded(context[first]).arrays(), *EliasFano.coded(first.astype(U64)).arrays(), *EliasFano.coded(relative).arrays(), quantised(counts)]
+        return [*EliasFano.coded(keys[0]).arrays(), np.cumsum(counts).astype(np.uint64)]
+    contexts, rank = np.unique(keys[0], return_inverse=True)
+    return [*EliasFano.coded(contexts).arrays(), *EliasFano.ranged(rank, keys[1]).arrays(), quantised(counts)]
 
 
 def _write(folder: str, name: str, parts: list[np.ndarray]) -> str:
@@ -246,7 +265,7 @@ def _built(folder: str):
     def solved(kind: int, shard: int, keys: list, counts: list) -> pa.RecordBatch:
         k, c = _summed(keys, counts)
         path = _write(folder, f"{kind}-{shard}-{uuid.uuid4().hex}", _trie(kind, k, c))
-        return pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([shard], pa.int32()), pa.array([path]), pa.array([len(k)], pa.int64()), pa.array([int(c.sum())], pa.int64())], names=["kind", "shard", "path", "n", "total"])
+        return pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([shard], pa.int32()), pa.array([path]), pa.array([k.shape[1]], pa.int64()), pa.array([int(c.sum())], pa.int64())], names=["kind", "shard", "path", "n", "total"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at, keys, counts, size = None, [], [], 0
@@ -257,9 +276,9 @@ def _built(folder: str):
                     yield solved(*at, keys, counts)
                     keys, counts, size = [], [], 0
                 at = key
-                keys.append(_decoded(batch.column(2)[r].as_buffer().to_pybytes()))
+                keys.append(_decoded(batch.column(2)[r].as_buffer().to_pybytes(), key[0] + 1))
                 counts.append(np.frombuffer(batch.column(3)[r].as_buffer().to_pybytes(), dtype=np.int64).astype(np.int32))
-                size += len(keys[-1])
+                size += keys[-1].shape[1]
                 if size > 1 << 22 and len(keys) > 8:  # merge early, so that a shard in hand stays near its own size
                     k, c = _summed(keys, counts)
                     keys, counts, size = [k], [c], 0
@@ -280,37 +299,36 @@ class Model:
             if kind == 0:
                 self.words[shard] = (EliasFano.mapped(parts), next(parts).view(np.uint64))
             else:
-                self.pairs[shard] = (EliasFano.mapped(parts), EliasFano.mapped(parts), EliasFano.mapped(parts), next(parts).view(np.uint16))
+                self.pairs[shard] = (EliasFano.mapped(parts), EliasFano.mapped(parts), next(parts).view(np.uint16))
 
     def _by_shard(self, keys: np.ndarray, levels: dict, look) -> np.ndarray:
-        out = np.zeros(len(keys))
+        out = np.zeros(keys.shape[1])
         shard = shard_of(keys, self.n_shards)
         order = np.argsort(shard, kind="stable")
         edges = np.searchsorted(shard[order], np.arange(self.n_shards + 1))
         for s, level in levels.items():
             mine = order[edges[s] : edges[s + 1]]
             if len(mine):
-                out[mine] = look(level, keys[mine])
+                out[mine] = look(level, keys[:, mine])
         return out
 
     def word_counts(self, keys: np.ndarray) -> np.ndarray:
         def look(level, wanted):
             places, sums = level
-            at = places.find(wanted)
+            at = places.find(wanted[0])
             hit = np.maximum(at, 0)
             c = sums[hit].astype(np.int64) - np.where(hit > 0, sums[np.maximum(hit, 1) - 1], 0).astype(np.int64)
             return np.where(at >= 0, c, 0)
 
-        return self._by_shard(keys, self.words, look)
+        return self._by_shard(keys[None], self.words, look)
 
     def pair_counts(self, keys: np.ndarray) -> np.ndarray:
         def look(level, wanted):
-            contexts, _, successors, q = level
-            rank = contexts.find(wanted >> U64(SUCCESSOR_BITS))
+            contexts, successors, q = level
+            rank = contexts.find(wanted[0])
             known = np.flatnonzero(rank >= 0)
-            relative = (rank[known].astype(U64) << U64(SUCCESSOR_BITS)) | (wanted[known] & U64((1 << SUCCESSOR_BITS) - 1))
-            at = successors.find(relative)
-            out = np.zeros(len(wanted))
+            at = successors.search(rank[known], wanted[1, known])
+            out = np.zeros(wanted.shape[1])
             out[known[at >= 0]] = restored(q[at[at >= 0]])
             return out
 
@@ -319,9 +337,8 @@ class Model:
     def scores(self, raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, ...]:
         w, v, text = tokens(raw, off)
         n = len(off) - 1
-        words, inverse = np.unique(w, return_inverse=True)
-        counts = self.word_counts(words)
-        c = counts[inverse]
+        words, place, context = numbered(w, v)
+        c = self.word_counts(words)[place]
         p = (c + 1.0) / (self.n + (self.v + 1.0))
         of_context = np.zeros(len(w))
         of_context[1:] = c[:-1]
@@ -330,7 +347,8 @@ class Model:
         of_context[starts] = ends  # as many starts as ends
         pair = np.zeros(len(w))
         maybe = np.flatnonzero((of_context > 0) & (c > 0))
-        keys, back = np.unique(pair_key(v[maybe], w[maybe]), return_inverse=True)
+        pairs, back = np.unique(context[maybe] * len(words) + place[maybe], return_inverse=True)
+        keys = np.stack([words[pairs // len(words)], words[pairs % len(words)]])
         pair[maybe] = np.minimum(self.pair_counts(keys)[back], np.minimum(of_context[maybe], c[maybe]))
         known = of_context > 0
         smooth = np.where(known, MIX * pair / np.maximum(of_context, 1) + (1 - MIX) * p, p)
