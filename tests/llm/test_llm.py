@@ -167,6 +167,14 @@ def test_html():
     assert html_text.main_text(None, tree) == html_text.main_text("", tree) == html_text.main_text("<script>x", tree) == ""
 
 
+def test_html_without_an_article_element():
+    tree = html_text.grow(html_text.LABELLED)
+    long, other, last = (" ".join(w + str(k) for k in range(40)) for w in ("a", "b", "c"))
+    links = '<ul><li><a href="/">Home</a></li><li><a href="/x">All news</a></li></ul>'
+    page = f"<body>{links}<div><p>{long}</p><h2>What came next</h2><p>{other}</p><p>Nobody had seen it.</p><p>{last}</p></div>{links}</body>"
+    assert html_text.main_text(page, tree) == "\n".join([long, "What came next", other, "Nobody had seen it.", last])
+
+
 def test_language_model(spark):
     rng = random.Random(9)
     texts = [words(rng, rng.randint(0, 30)) + " the end of it" for _ in range(60)] + ["", None]

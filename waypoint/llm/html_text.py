@@ -1,7 +1,7 @@
 """Main text of web pages: flat blocks, features of a block and its neighbours, and a decision tree.
 
 A page is cut at block-level tags into flat text blocks. A block's features are its word count and link density,
-those of the blocks before and after it, and two of its place: whether an enclosing element is known to
+those of the blocks before and after it (and how long both are at least), and two of its place: whether an enclosing element is known to
 hold no article text (by tag, role or class), and whether one is an article or main element. A decision tree is
 grown on the small labelled table below (by Gini impurity); the blocks that it accepts, joined by newlines, are the text.
 
@@ -33,7 +33,7 @@ _HINT = re.compile(r"(?:^|[^a-z])(?:ads?|advert\w*|sponsor\w*|promo\w*|banner|co
 
 # The labelled table: words, link density, words and density of the block before, of the block after, inside
 # known furniture (0 or 1), inside an article (0 or 1), and whether it is article text.
-LABELLED = (
+_TABLE = (
     # menus and lists of links
     (1, 1.0, 1, 1.0, 1, 1.0, 1, 0, 0), (2, 1.0, 0, 0.0, 1, 1.0, 1, 0, 0), (3, 1.0, 2, 1.0, 4, 1.0, 0, 0, 0), (6, 1.0, 5, 1.0, 7, 1.0, 0, 0, 0),
     (9, 0.9, 8, 1.0, 6, 1.0, 0, 0, 0), (14, 0.8, 60, 0.0, 12, 0.9, 0, 0, 0), (25, 0.9, 3, 1.0, 40, 0.0, 0, 0, 0), (1, 1.0, 1, 1.0, 9, 0.0, 1, 0, 0),
@@ -50,9 +50,24 @@ LABELLED = (
     # pages without an article element
     (50, 0.0, 8, 0.0, 60, 0.0, 0, 0, 1), (90, 0.1, 60, 0.0, 40, 0.0, 0, 0, 1), (30, 0.0, 50, 0.0, 45, 0.1, 0, 0, 1), (25, 0.1, 4, 1.0, 70, 0.0, 0, 0, 1),
     (200, 0.0, 5, 1.0, 6, 1.0, 0, 0, 1), (18, 0.0, 70, 0.0, 55, 0.0, 0, 0, 1),
+    (4, 0.0, 60, 0.0, 50, 0.0, 0, 0, 1), (8, 0.0, 30, 0.0, 45, 0.0, 0, 0, 1), (12, 0.0, 90, 0.0, 35, 0.0, 0, 0, 1), (16, 0.0, 40, 0.1, 120, 0.0, 0, 0, 1),
+    (1, 0.0, 25, 0.0, 28, 0.0, 0, 0, 1), (6, 0.0, 200, 0.0, 22, 0.1, 0, 0, 1),
+    (40, 0.0, 50, 0.0, 1, 1.0, 0, 0, 1), (22, 0.0, 40, 0.0, 2, 1.0, 0, 0, 1), (35, 0.0, 1, 1.0, 2, 1.0, 0, 0, 1), (60, 0.0, 9, 0.0, 3, 0.0, 0, 0, 1), (20, 0.0, 3, 0.0, 4, 0.0, 0, 0, 1),
+    # short blocks there that long ones do not enclose
+    (5, 0.0, 40, 0.0, 3, 0.0, 0, 0, 0), (8, 0.0, 4, 0.0, 60, 0.0, 0, 0, 0), (10, 0.0, 6, 0.0, 5, 0.0, 0, 0, 0), (3, 0.0, 2, 0.0, 2, 0.0, 0, 0, 0),
+    (12, 0.0, 80, 0.0, 9, 0.0, 0, 0, 0), (7, 0.0, 8, 0.0, 30, 0.0, 0, 0, 0), (4, 0.0, 0, 0.0, 60, 0.0, 0, 0, 0), (9, 0.0, 50, 0.0, 1, 1.0, 0, 0, 0),
+    (6, 0.0, 20, 1.0, 70, 0.0, 0, 0, 0), (11, 0.0, 60, 0.0, 25, 1.0, 0, 0, 0), (5, 1.0, 60, 0.0, 50, 0.0, 0, 0, 0), (10, 0.9, 45, 0.0, 40, 0.0, 0, 0, 0),
 )
 
 
+def enclosed(x: tuple) -> int:
+    """Words of the shorter neighbour; 0 where one of them is made of links. Last of a block's features."""
+    return min(x[2], x[4]) if max(x[3], x[5]) < 0.3 else 0
+
+
+LABELLED = tuple((*r[:-1], enclosed(r), r[-1]) for r in _TABLE)
+
+
 @dataclass(frozen=True)
 class Node:
     feature: int = -1
@@ -146,7 +161,8 @@ def main_text(page: str | None, tree: Node) -> str:
     kept = []
     for k, (text, words, density, furniture, article) in enumerate(found):
         before, after = found[k - 1] if k else none, found[k + 1] if k + 1 < len(found) else none
-        if tree.says((words, density, before[1], before[2], after[1], after[2], furniture, article)):
+        x = (words, density, before[1], before[2], after[1], after[2], furniture, article)
+        if tree.says((*x, enclosed(x))):
             kept.append(text)
     return "\n".join(kept)
 
