@@ -128,6 +128,15 @@ def test_secrets(spark):
     assert clean[0] == 'é [secret]" x' and clean[3] == "no key" and clean[5] is None
 
 
+def test_secrets_without_digits_and_longer_than_a_base_span(spark):
+    letters, long = "kQzRmXvTbWcYdHfJpLsN", "Zq" + "0f1e2d3c4b5a69788796" + "_Xr7Vw2Tb9Nc4Yd"
+    texts = [f"x {letters} y", f"x {long} y", "see AbstractSingletonProxyFactoryBean here", "one-of-those-very-long-words"]
+    rows = {r["doc_id"]: r["spans"] for r in secrets.scanned(docs(spark, texts)).collect()}
+    assert rows[0] == "entropy:2:22" and f"entropy:2:{2 + len(long)}" in rows[1].split(",") and rows[2] == rows[3] == ""
+    clean = {r["doc_id"]: r["text"] for r in secrets.redacted(docs(spark, texts)).collect()}
+    assert clean[0] == clean[1] == "x [secret] y" and clean[2] == texts[2]
+
+
 def test_mixing(spark):
     rng = random.Random(6)
     texts = [words(rng, rng.randint(1, 60)) for _ in range(600)] + [None, ""]

@@ -1,11 +1,11 @@
 """Secrets in texts, by patterns and by sliding-window entropy, in DataFrame operations alone.
 
 Three base kinds are patterns whose matches are dropped when too short. The entropy method adds a fourth
-kind: maximal runs of key characters that hold a digit are candidates; each has a class (``hex`` or
-``base64``), and a window of 20 characters slides over it. The sum of c*log2(c) over the window's character
+kind: maximal runs of key characters that hold a digit or letters of both cases are candidates; each has a class
+(``hex``, ``base64`` or ``letters``), and a window of 20 characters slides over it. The sum of c*log2(c) over the window's character
 counts changes in two places as the window moves, so it is carried along instead of being counted anew. The
 run is a span when some window's entropy reaches its class's threshold, unless an allow-list pattern matches
-the run or a base span overlaps it.
+the run or a base span covers all of it.
 
 Places are code points, end exclusive, in whole texts. Edge cases: a null or empty text has no spans; rows
 are judged one by one, so repeated rows repeat their result and an empty table gives an empty one; extra
@@ -25,14 +25,15 @@ ASSIGN_LEAST, ACCESS_LEAST, HEX_LEAST = 12, 18, 16
 KINDS = ("assign", "access", "hex", "entropy")
 
 WINDOW = 20
-#: A maximal run of key characters of at least a window's length with a digit in it.
-CANDIDATE = r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]*[0-9])[A-Za-z0-9+/_=-]{20,}"
+#: A maximal run of key characters of at least a window's length with a digit in it, or with letters of both cases.
+CANDIDATE = r"(?<![A-Za-z0-9+/_=-])(?:(?=[A-Za-z+/_=-]*[0-9])|(?=[a-z+/_=-]*[A-Z])(?=[A-Z+/_=-]*[a-z]))[A-Za-z0-9+/_=-]{20,}"
 #: Bits a character; a window of 20 holds 4.32 at most, hex 3.92.
-THRESHOLDS = {"hex": 2.9, "base64": 3.75}
+THRESHOLDS = {"hex": 2.9, "base64": 3.75, "letters": 3.75}
 #: Runs that look random but are known not to be keys.
 ALLOWED = (
     r"^[0-9_/+=-]+$",  # digits only: numbers, dates, phone numbers
     r"^[a-z]+(?:[-_/][a-z]+)*[-_/]?[0-9]{1,6}$",  # a slug or path with a number after it
+    r"^[-_/+=]*+(?:(?:[A-Z]?[a-z]{2,}+|[A-Z]{2,}+|[aAI](?![a-z]))[-_/+=]*+)++$",  # words in a row, by case or marks
     r"(?i)example|xxxx|0123456789|abcdef0123|lorem|placeholder",
 )
 
@@ -103,11 +104,11 @@ def window_entropy(run: Column, width: int = WINDOW) -> Column:
 def entropy_spans(text: Column, base: Column, thresholds=THRESHOLDS, allowed=ALLOWED) -> Column:
     def good(h):
         run = h["hit"]
-        least = F.when(run.rlike("^[0-9a-fA-F]+$"), thresholds["hex"]).otherwise(thresholds["base64"])
+        least = F.when(run.rlike("^[0-9a-fA-F]+$"), thresholds["hex"]).when(run.rlike("[0-9]"), thresholds["base64"]).otherwise(thresholds["letters"])
         ok = window_entropy(run) >= least
         for pattern in allowed:
             ok = ~run.rlike(pattern) & ok
-        return ~F.exists(base, lambda b: (b["start"] < h["end"]) & (b["end"] > h["start"])) & ok
+        return ~F.exists(base, lambda b: (b["start"] <= h["start"]) & (b["end"] >= h["end"])) & ok
 
     return _kind(_hits(text, CANDIDATE), 3, good)
 
