@@ -7,11 +7,14 @@ soon as all its places hold bids under the next round's number: one round is eno
 
 Candidates. Texts of equal shingle sets are one class (its smallest id stands for it). Classes that agree in a
 band's R places share a bucket, and bucket mates are compared unless they are in one component already. That is
-done without emitting all pairs: while many members of a bucket are outside its largest component, a few of them lead (they are compared with every
-other member, which takes a fixed number of pairs a member, and are then done with) and components are found anew; once few are outside, each
-of them is compared with all others. Buckets that stay open for two rounds are dealt anew by rare shingles, which keeps all links, and pairs are then left out
-by how few shingles follow the one they share. So no link between different components of bucket mates is lost, whatever the size
-of the bucket, and a large group of near copies takes two rounds. Every link is confirmed on full sets.
+done without emitting all pairs: in a bucket of many members one member leads, the one whose other buckets are the fullest (in a family of
+edited copies, that is the text which most of them come from). It is compared with every other member and is then done with, components are found
+anew, and once few members are outside a bucket's largest component each of them is compared with all others.
+
+What is still open after the first round is dealt anew by rare shingles: with all shingles in one order, rarest first, two linked sets
+share an early one, and the place of the first that they share bounds how much they can have in common. An entry (a text under one of its early shingles)
+whose bound no size in its bucket fits is left out, which takes out all texts that are too far from any other; the rest goes on with leaders, the entries of earliest
+place first. So no link between different components of bucket mates is lost, whatever the size of the bucket. Every link is confirmed on full sets.
 
 Defined results: a null or empty text (or one without words) has an empty set and is linked with nothing, not
 even with another empty one; fewer than K words are one shingle; repeated rows of one id are judged alike; an empty table gives
@@ -25,13 +28,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from waypoint.llm import packed
 from waypoint.llm.components import components
-from waypoint.llm.store import kept
+from waypoint.llm.store import counted, kept
 
 U64 = np.uint64
 PLACES, ROWS = 80, 4
@@ -39,8 +42,8 @@ BANDS = PLACES // ROWS
 #: With up to PAIRS members outside a bucket's largest component all open pairs are compared; after the first round also
 #: where those are up to MOST_PAIRS in all.
 PAIRS, MOST_PAIRS = 8, 16384
-#: Members that lead in other buckets in the first round; four times as many in each round after it.
-LEADERS = 2
+#: Members that lead in other buckets in the first round; sixteen times as many in each of the next three rounds.
+LEADERS = 1
 
 
 def signatures(hashes: np.ndarray, first: np.ndarray, m: int = PLACES) -> np.ndarray:
@@ -149,6 +152,11 @@ def _linked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.filter(F.col("inter") * 100 >= (F.col("n") - F.col("inter")) * percent).select(F.col("a").alias("u"), F.col("b").alias("v"))
 
 
+def _most(size: Column, before: Column, percent: int) -> Column:
+    """The largest set that one of ``size``, with ``before`` shingles ahead of the first common one, can be linked with."""
+    return F.floor((size - before) * (100 + percent) / percent) - size
+
+
 def by_rare_shingles(buckets: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Buckets of many unlike members (those that share a long common passage, say) dealt anew, by rare shingles.
 
@@ -161,7 +169,18 @@ def by_rare_shingles(buckets: DataFrame, sets: DataFrame, percent: int) -> DataF
     listed = each.join(often, "s").groupBy("doc_id", "size", "c").agg(F.array_sort(F.collect_list(F.struct("df", "s"))).alias("l"))
     first = F.slice("l", F.lit(1), (F.col("size") - F.ceil(F.col("size") * percent / 100) + 1).cast("int"))
     dealt = listed.select("doc_id", "size", "c", F.posexplode(first).alias("before", "x")).filter("x.df > 1")
-    return dealt.select(F.col("x.s").alias("bucket"), "doc_id", "size", "c", F.col("before").cast("long"))
+    entries = dealt.select(F.col("x.s").alias("bucket"), "doc_id", "size", "c", F.col("before").cast("long"))
+    return viable(kept(entries.withColumn("rank", -F.col("before")), "nd-entries"), percent)
+
+
+def viable(entries: DataFrame, percent: int) -> DataFrame:
+    """The entries that some size in their bucket fits, by a table of the bucket's sizes and the largest partner that each size allows."""
+    reach = entries.select("bucket", "size", _most(F.col("size"), F.col("before"), percent).alias("most")).groupBy("bucket", "size").agg(F.max("most").alias("most"), F.count("*").alias("n"))
+    kinds = entries.select("bucket", "size", "before").distinct().withColumn("reach", _most(F.col("size"), F.col("before"), percent))
+    other = reach.select("bucket", F.col("size").alias("other"), "most", "n")
+    fits = (F.col("other") <= F.col("reach")) & (F.col("most") >= F.col("size")) & ((F.col("other") != F.col("size")) | (F.col("n") > 1))
+    good = kinds.join(other, (kinds["bucket"] == other["bucket"]) & fits, "left_semi").select("bucket", "size", "before")
+    return entries.join(good, ["bucket", "size", "before"], "left_semi").select(*entries.columns)
 
 
 def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, rounds: int = 40) -> DataFrame:
@@ -172,7 +191,9 @@ def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, ro
     """
     members = classes.filter("n_shingles > 0").select("doc_id", F.col("n_shingles").alias("size"), F.posexplode("bands").alias("band", "key"))
     shared = members.groupBy("band", "key").agg(F.count("*").alias("n")).filter("n > 1")
-    buckets = members.join(shared.select("band", "key"), ["band", "key"]).select(F.xxhash64("band", "key").alias("bucket"), "doc_id", "size", F.col("doc_id").alias("c"), F.lit(0).cast("long").alias("before"))
+    buckets = kept(members.join(shared, ["band", "key"]).select(F.xxhash64("band", "key").alias("bucket"), "doc_id", "size", "n"), "nd-shared")
+    fullest = buckets.groupBy("doc_id").agg(F.sum("n").alias("rank"))
+    buckets = buckets.join(fullest, "doc_id").select("bucket", "doc_id", "size", F.col("doc_id").alias("c"), F.lit(0).cast("long").alias("before"), "rank")
     buckets = kept(buckets, "nd-buckets")
     # the ids are the hashed side, so texts pass by unsorted
     sets = kept(shingle_sets(docs.select("doc_id", "text").join(buckets.select("doc_id").distinct().hint("shuffle_hash"), "doc_id", "left_semi"), k), "nd-sets")
@@ -187,10 +208,10 @@ def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, ro
         outer = sized.filter(F.col("c") != F.col("main"))
         last = outer.filter("final").select("bucket", F.col("doc_id").alias("a"), F.col("c").alias("ca"), F.col("size").alias("sa"), F.col("before").alias("ba"))
         # a bucket with many members outside: some of those are compared with all and are then done with
-        leaders = LEADERS * 4 ** min(turn, 4) * 2 ** min(max(turn - rounds, 0), 40)
+        leaders = LEADERS * 4 ** min(2 * turn, 6) * 2 ** min(max(turn - rounds, 0), 40)
         lots = outer.filter("not final").groupBy("bucket", F.pmod(F.xxhash64("doc_id", F.lit(turn)), F.lit(leaders)).alias("lot"))
-        led = lots.agg(F.min(F.struct("doc_id", "c", "size", "before")).alias("l")).select("bucket", F.col("l.doc_id").alias("a"), F.col("l.c").alias("ca"), F.col("l.size").alias("sa"), F.col("l.before").alias("ba"))
-        led = kept(led, "nd-leaders")
+        led = lots.agg(F.max(F.struct("rank", "doc_id", "c", "size", "before")).alias("l")).select("bucket", F.col("l.doc_id").alias("a"), F.col("l.c").alias("ca"), F.col("l.size").alias("sa"), F.col("l.before").alias("ba"))
+        led, n_led = counted(led, "nd-leaders")
         # sets of too different sizes can't be alike, nor can those whose first common shingle in the order of the buckets has too few after it
         common = F.least(F.col("sa") - F.col("ba"), F.col("size") - F.col("before"))
         alike = (F.col("ca") != F.col("c")) & (common * (100 + percent) >= (F.col("sa") + F.col("size")) * percent)
@@ -199,25 +220,25 @@ def linked_classes(classes: DataFrame, docs: DataFrame, k: int, percent: int, ro
         if comp is not None:
             links = links.unionByName(comp.filter("node <> component").select(F.col("node").alias("u"), F.col("component").alias("v")))
         comp = kept(components(links), "nd-components")
-        if led.isEmpty():
+        if not n_led:
             return comp
-        rest = sized.filter("not final").select("bucket", "doc_id", "size", "before").join(led.select("bucket", F.col("a").alias("doc_id")), ["bucket", "doc_id"], "left_anti")
-        buckets = kept(rest.join(comp, rest["doc_id"] == comp["node"], "left").select("bucket", "doc_id", "size", F.coalesce("component", "doc_id").alias("c"), "before"), "nd-buckets")
-        if turn == 1:
+        rest = sized.filter("not final").select("bucket", "doc_id", "size", "before", "rank").join(led.select("bucket", F.col("a").alias("doc_id")), ["bucket", "doc_id"], "left_anti")
+        rest = rest.join(comp, rest["doc_id"] == comp["node"], "left").select("bucket", "doc_id", "size", F.coalesce("component", "doc_id").alias("c"), "before", "rank")
+        buckets = kept(rest, "nd-buckets")
+        if not turn:
             buckets = kept(by_rare_shingles(buckets, sets, percent), "nd-buckets")
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """``doc_id, n_shingles, component_id, kept`` of every document; linked means 100 * intersection >= percent * union."""
     signs = kept(signed(docs, k), "nd-signs")
-    own = F.when(F.col("n_shingles") > 0, F.lit(0)).otherwise(F.col("doc_id"))
-    keys = [own.alias("own"), "n_shingles", "d1", "d2"]
-    classes = kept(signs.groupBy(*keys).agg(F.min("doc_id").alias("doc_id"), F.first("bands").alias("bands")), "nd-classes")
+    alone = (F.col("n_shingles") == 0) | F.col("doc_id").isNull()
+    keys = ["n_shingles", "d1", "d2"]
+    classes = kept(signs.filter(~alone).groupBy(*keys).agg(F.min("doc_id").alias("doc_id"), F.first("bands").alias("bands")), "nd-classes")
     comp = linked_classes(classes, docs, k, percent)
-    named = classes.select("own", "n_shingles", "d1", "d2", F.col("doc_id").alias("node")).join(comp, "node", "left")
-    named = named.select("own", "n_shingles", "d1", "d2", F.coalesce("component", "node").alias("component_id"))
-    joined = signs.withColumn("own", own).drop("bands").join(named, ["own", "n_shingles", "d1", "d2"])
-    return joined.select("doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
+    named = classes.select(*keys, F.col("doc_id").alias("node")).join(comp, "node", "left").select(*keys, F.coalesce("component", "node").alias("component_id"))
+    joined = signs.filter(~alone).drop("bands").join(named, keys).select("doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
+    return joined.unionByName(signs.filter(alone).select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"), F.lit(True).alias("kept")))
 
 
 def deduplicated(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
