@@ -2,9 +2,14 @@ import random
 
 import pytest
 
-from waypoint.operators.search import answers, iter_paths, paths, search
+from pyspark.sql import functions as F
+
+from waypoint.operators import answers as A
+from waypoint.operators import baselines, search as kernel
+from waypoint.operators.paths import iter_paths, k_paths, lazy_paths, paths, paths_balanced, paths_by_level, paths_by_visit, single_paths
+from waypoint.operators.search import answers, search
 from waypoint.plans.automaton import prepared
-from waypoint.sources.graphs import two_way
+from waypoint.sources.graphs import LabelledGraph
 
 S = "src string, label string, dst string"
 
@@ -13,8 +18,8 @@ def graph(spark, rows):
     return spark.createDataFrame(rows, S).distinct()
 
 
-def counts(spark, rows, regex, source="v", **how):
-    a = answers(search(graph(spark, rows), prepared(regex, **how), source))
+def counts(spark, rows, regex, source="v", finals="dictionary", **how):
+    a = answers(search(graph(spark, rows), prepared(regex, **how), source, finals=finals))
     return {r["node"]: (r["dist"], int(r["num_paths"])) for r in a.collect()}
 
 
@@ -28,8 +33,9 @@ def test_worked_example(spark):
     assert found.links.count() == 7
     assert paths(found).count() == 10
     links = [tuple(r) for r in found.links.select("node", "state", "pred", "pred_state", "label").collect()]
-    lazy = list(iter_paths(links, "n5", [0]))
-    assert len(lazy) == 3 and all(n[0] == "v" and n[-1] == "n5" and steps <= len(n) for steps, n, _ in lazy)
+    end = found.visited.filter("dist = 3").first()["node"]
+    lazy = list(iter_paths(links, end, [0]))
+    assert len(lazy) == 3 and all(len(n) == 4 and n[-1] == end and steps <= len(n) for steps, n, _ in lazy)
 
 
 MICRO = [
@@ -46,13 +52,14 @@ MICRO = [
 ]
 
 
+@pytest.mark.parametrize("finals", ["dictionary", "normalise"])
 @pytest.mark.parametrize("rows,regex,want", MICRO)
-def test_micro_graphs(spark, rows, regex, want):
-    assert counts(spark, rows, regex) == want
+def test_micro_graphs(spark, rows, regex, want, finals):
+    assert counts(spark, rows, regex, finals=finals) == want
 
 
 def test_backward_edge_and_unknown_source(spark):
-    edges = two_way(graph(spark, [("x", "a", "v")]))
+    edges = LabelledGraph.from_edges(graph(spark, [("x", "a", "v")])).with_inverses()
     assert [r["node"] for r in answers(search(edges, prepared("^a"), "v")).collect()] == ["x"]
     assert answers(search(edges, prepared("a*"), "nowhere")).count() == 0
 
@@ -64,6 +71,14 @@ def test_ladder_counts_double(spark):
     assert counts(spark, rows, "a*", "d0")["d8"] == (16, 256)
 
 
+def listed(df):
+    return sorted((r["source"], r["node"], r["dist"], tuple(r["nodes"]), tuple(r["labels"])) for r in df.collect())
+
+
+def put_together(tables):
+    return sorted(x for t in tables for x in listed(t))
+
+
 def test_random_graphs_against_all_walks(spark):
     rng = random.Random(5)
     for regex in ("(a|b)*/a", "a/b*/a?"):
@@ -77,9 +92,117 @@ def test_random_graphs_against_all_walks(spark):
                     if d == depth:
                         best[nodes[-1]] = (d, s | {(nodes, labels)})
             walks = [((*n, y), (*l, a)) for n, l in walks for x, a, y in rows if x == n[-1]]
-        found = search(graph(spark, rows), automaton, "0", "links")
+        g = LabelledGraph.from_edges(graph(spark, rows))
+        found = search(g, automaton, "0", "links")
+        every = listed(paths(found))
         got = {}
-        for r in paths(found).collect():
-            got.setdefault(r["node"], (r["dist"], set()))[1].add((tuple(r["nodes"]), tuple(r["labels"])))
+        for _, node, dist, nodes, labels in every:
+            got.setdefault(node, (dist, set()))[1].add((nodes, labels))
         assert got == best
         assert counts(spark, rows, regex, "0") == {n: (d, len(s)) for n, (d, s) in best.items()}
+        assert put_together(paths_by_level(g, automaton, "0")) == put_together(paths_by_visit(g, automaton, "0")) == every
+        assert listed(lazy_paths(found).drop("steps")) == listed(paths_balanced(found, 3)) == every
+        assert len(listed(k_paths(found, 1))) == len(best) and set(listed(k_paths(found, 2))) <= set(every)
+        assert listed(baselines.shortest_of(baselines.walks(g, automaton, "0", 7))) == every
+        assert A.invalid_paths(g, automaton, paths(found), found).count() == 0
+        product = {r["node"]: (r["dist"], int(r["num_paths"])) for r in baselines.product_answers(g, automaton, "0").collect()}
+        assert product == {n: (d, len(s)) for n, (d, s) in best.items()}
+        one = listed(single_paths(search(g, automaton, "0", "one")))
+        assert len(one) == len(best) and set(one) <= set(every)
+
+
+def test_one_witness_an_answer_with_several_finals(spark):
+    rows = [("v", "click", "x"), ("v", "view", "x")]
+    found = search(graph(spark, rows), prepared("(click|view/click)*/view?"), "v", "one")
+    assert sorted(r["node"] for r in single_paths(found).collect()) == ["v", "x"]
+
+
+def test_targets_of_several_sources(spark):
+    rows = [("a", "e", "t"), ("b", "e", "m"), ("m", "e", "t"), ("b", "e", "u"), ("a", "e", "n"), ("n", "e", "o"), ("o", "e", "u"), ("u", "e", "far")]
+    found = answers(search(graph(spark, rows), prepared("e+"), ["a", "b"], targets=["t", "u"]))
+    got = {(r["source"], r["node"]): r["dist"] for r in found.collect()}
+    assert (got["a", "t"], got["b", "t"], got["a", "u"], got["b", "u"]) == (1, 2, 3, 1) and ("a", "far") not in got
+
+
+@pytest.mark.parametrize("hub", [2, 10**9])
+def test_buckets_and_salted_hubs_change_nothing(spark, monkeypatch, hub):
+    rng = random.Random(7)
+    rows = list({(rng.choice("vvvwxyz"), rng.choice("ab"), rng.choice("vwxyzpqr")) for _ in range(40)})
+    want = counts(spark, rows, "(a|b)*/b")
+    monkeypatch.setattr(kernel, "BUCKET_ROWS", 1)
+    monkeypatch.setattr(kernel, "HUB", hub)
+    assert counts(spark, rows, "(a|b)*/b") == want
+    links = search(graph(spark, rows), prepared("(a|b)*/b"), "v", "links")
+    assert {n: (d, len(list(g))) for (n, d), g in _grouped(listed(paths(links)))} == want
+
+
+def _grouped(rows):
+    import itertools
+
+    key = lambda r: (r[1], r[2])
+    return itertools.groupby(sorted(rows, key=key), key)
+
+
+def test_levels_of_bucketed_tables_are_not_shuffled(spark, monkeypatch):
+    monkeypatch.setattr(kernel, "BUCKET_ROWS", 1)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        g = LabelledGraph.from_edges(graph(spark, [(str(k), "a", str(k + 1)) for k in range(50)]))
+        edges = kernel.prepared_edges(g, ["a"])
+        frontier = edges.table.select(F.col("src").alias("source"), F.col("src").alias("node"), F.lit(0).alias("state"), F.lit(1).cast("decimal(38,0)").alias("num_paths"))
+        plan = edges.after(frontier, spark.createDataFrame([(0, 0, 0)], "state int, label int, next_state int"))._jdf.queryExecution().executedPlan().toString()
+        assert "SelectedBucketsCount" in plan
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_counts_raise_when_they_overflow(spark):
+    rows = [(f"d{i}", f"l{j}", f"d{i + 1}") for i in range(13) for j in range(1000)]
+    g = LabelledGraph.from_edges(graph(spark, rows)).stored()
+    with pytest.raises(Exception, match="(?i)overflow|out of range|cannot be represented"):
+        answers(search(g, prepared("!(x)*", [f"l{j}" for j in range(1000)]), "d0")).collect()
+
+
+def test_names_subgraphs_and_saved_searches(spark, tmp_path):
+    g = LabelledGraph.from_edges(graph(spark, [("v", "a", "x"), ("x", "b", "y"), ("y", "a", "v"), ("y", "a", "y")]))
+    assert {tuple(r) for r in g.labels(["a"]).without_loops().triples().collect()} == {("v", "a", "x"), ("y", "a", "v")}
+    some = spark.createDataFrame([("v",), ("x",), ("nowhere",)], "node string")
+    assert [tuple(r) for r in g.where_nodes(some).triples().collect()] == [("v", "a", "x")]
+    assert {tuple(r) for r in g.reversed().triples().collect()} == {("x", "a", "v"), ("y", "b", "x"), ("v", "a", "y"), ("y", "a", "y")}
+    a = prepared("a/b/a")
+    found = search(g, a, "v", "links")
+    A.save(found, str(tmp_path / "dag"))
+    again = A.load(spark, str(tmp_path / "dag"), g, a)
+    assert listed(paths(again)) == listed(paths(found)) and len(listed(paths(found))) == 2
+    broken = paths(found).withColumn("labels", F.array(F.lit("a"), F.lit("a"), F.lit("a")))
+    assert A.invalid_paths(g, a, broken).count() == 2
+    assert found.report().count() == len(found.levels)
+
+
+def test_triples_are_read_and_graphs_written(spark, tmp_path):
+    from waypoint.sources import graphs as G
+
+    (tmp_path / "t.nt").write_text('<http://a> <knows> <http://b> .\n# no triple\n<http://b> <name> "B \\"x\\" <y>"@en .\n_:n <knows> <http://a> . # end\nbroken line\n')
+    g = G.triples(spark, str(tmp_path / "t.nt"))
+    assert {r["label"] for r in g.triples().collect()} == {"knows", "name"} and g.triples().count() == 3
+    G.write_graph(g, str(tmp_path / "g"), "json")
+    again = G.read_edges(spark, str(tmp_path / "g"), "json")
+    assert {tuple(r) for r in again.triples().collect()} == {tuple(r) for r in g.triples().collect()}
+
+
+def test_near_neighbours_by_cells(spark):
+    import numpy as np
+
+    from waypoint.operators.neighbours import nearest
+
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(300, 8))
+    df = spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)] + [(300, None)], "id long, vector array<float>")
+    exact = {(r["id"], r["other"]) for r in nearest(df, 4).collect()}
+    y = x.astype(np.float32).astype(float)
+    y /= np.linalg.norm(y, axis=1, keepdims=True)
+    c = y @ y.T
+    np.fill_diagonal(c, -2)
+    assert exact == {(i, int(j)) for i in range(300) for j in np.argsort(-c[i])[:4]}
+    cells = {(r["id"], r["other"]) for r in nearest(df, 4, cells=10, probes=6).collect()}
+    assert len(cells & exact) >= 0.9 * len(exact)

@@ -304,3 +304,11 @@ def prepared(regex: str, alphabet=(), ambiguity: str = "determinise", constructi
     if ambiguity == "error" and not a.is_unambiguous():
         raise ValueError("the automaton is ambiguous")
     return a
+
+
+def measured(regex: str, alphabet=()) -> list[tuple[str, int, int, bool, bool]]:
+    """Construction, states, moves, deterministic and unambiguous of an expression's automata, to see what determinising costs."""
+    tree = parse(regex)
+    position = trimmed(position_automaton(tree, alphabet))
+    built = {"position": position, "thompson": thompson_automaton(tree, alphabet), "deterministic": determinised(position), "minimal": minimised(position), "single_final": single_final(minimised(position))[0]}
+    return [(k, a.n, len(a.moves), a.is_deterministic(), a.is_unambiguous()) for k, a in built.items()]
