@@ -11,8 +11,9 @@ from waypoint.plans.automaton import Automaton
 from waypoint.plans.storage import written
 from waypoint.sources.graphs import LabelledGraph, Packed
 
-#: States that a product node's number has room for above the kinds of nodes.
-MOST_STATES = 8
+#: Bits of a product node's number that hold the state, and the states that they have room for.
+STATE_BITS = 3
+MOST_STATES = 1 << STATE_BITS
 
 
 def materialised_product(graph: LabelledGraph | DataFrame, a: Automaton) -> LabelledGraph:
@@ -33,7 +34,7 @@ def product_answers(graph: LabelledGraph | DataFrame, a: Automaton, source) -> D
     plain = Automaton(1, frozenset([(0, "any", 0)]), frozenset([0]))
     names = seeds.select((F.col("source") * MOST_STATES).cast("string").alias("source"))
     found = search(product, plain, names)
-    ends = found.visited.select(F.floor(F.col("source") / MOST_STATES).alias("source"), F.floor(F.col("node") / MOST_STATES).alias("node"), F.pmod("node", F.lit(MOST_STATES)).alias("state"), "dist", "num_paths")
+    ends = found.visited.select(F.shiftright("source", STATE_BITS).alias("source"), F.shiftright("node", STATE_BITS).alias("node"), F.pmod("node", F.lit(MOST_STATES)).alias("state"), "dist", "num_paths")
     if 0 in a.finals:  # a start without product edges is no node of the product
         ends = ends.unionByName(seeds.select("source", F.col("source").alias("node"), F.lit(0).cast("long").alias("state"), F.lit(0).alias("dist"), F.lit(1).cast(COUNT).alias("num_paths"))).distinct()
     ends = ends.filter(F.col("state").isin(sorted(a.finals)) if a.finals else F.lit(False))

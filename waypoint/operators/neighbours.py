@@ -69,6 +69,6 @@ def nearest(vectors: DataFrame, k: int, cells: int | None = None, probes: int =
         left = left.withColumn("lot", lots)
         right = right.withColumn("lot", F.explode(F.sequence(F.lit(0), F.lit(max(1, -(-n // BLOCK)) - 1))))
         keys = ["cell", "part", "lot"]
-    hits = left.select("id", "vector", *keys).groupBy(*keys).cogroup(right.select("id", "vector", *keys).groupBy(*keys)).applyInArrow(_best(k), _OUT)
+    hits = left.select("id", "vector", *keys).groupBy(*keys).cogroup(right.select(*[F.col(c).alias(c) for c in ("id", "vector", *keys)]).groupBy(*keys)).applyInArrow(_best(k), _OUT)
     order = Window.partitionBy("id").orderBy(F.desc("cosine"), "other")
     return hits.withColumn("place", F.row_number().over(order)).filter(F.col("place") <= k).select("id", "other", "cosine")
