@@ -1,5 +1,8 @@
 """Quality by hashed word n-grams and logistic regression, trained with follow-the-regularised-leader updates.
 
+Beside the n-grams of words there are n-grams of the words' shapes, which tell junk from prose by case, digits and marks
+where the words themselves are new.
+
 Tokens are runs of letters, of digits, or of one punctuation mark. Two sequences of a text give n-grams: the
 lower-cased tokens (of 1 and 2), and the tokens' shapes (of 1 to 3: lower, capitalised, upper, digits, the mark
 itself with 1, 2 or more repeats, and whether the token repeats the one before). An n-gram's value is the
@@ -21,13 +24,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from waypoint.llm import packed
-from waypoint.llm.labelled import fold, training_texts
+from waypoint.llm.labelled import MOST_BYTES, fitted, fold
 from waypoint.llm.toxicity import with_scores
 
 U64 = np.uint64
 BITS = 20
 THRESHOLD = 0.5
-#: Labelled rows that the model is fitted on at most.
+#: Labelled rows that the model is fitted on at most (and their texts' bytes, see ``labelled.MOST_BYTES``).
 MOST_ROWS = 8000
 
 # Kinds of bytes: 0 white space, 1 lower letter (and bytes over 127), 2 upper letter, 3 digit, 4 other.
@@ -149,8 +152,13 @@ def scores(model: Model, column: pa.Array) -> np.ndarray:
     return out
 
 
-def trained(docs: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS) -> Model:
-    return fit(*training_texts(docs, labels, "quality", most_rows))
+def trained(docs: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS, most_bytes: int = MOST_BYTES) -> Model:
+    def run(texts: pa.Array, y: np.ndarray) -> tuple[np.ndarray, tuple[float, ...]]:
+        model = fit(texts, y)
+        return model.table, (model.bias,)
+
+    table, numbers = fitted(docs, labels, "quality", run, most_rows, most_bytes)
+    return Model(table, *numbers)
 
 
 def scored(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, most_rows: int = MOST_ROWS) -> DataFrame:
