@@ -7,6 +7,7 @@ counts changes in two places as the window moves, so it is carried along instead
 run is a span when some window's entropy reaches its class's threshold, unless an allow-list pattern matches
 the run or a base span covers all of it.
 
+Letters of one case without a digit are not judged: words joined by marks look alike. Runs and texts of any length take time in proportion to it.
 Places are code points, end exclusive, in whole texts. Edge cases: a null or empty text has no spans; rows
 are judged one by one, so repeated rows repeat their result and an empty table gives an empty one; extra
 columns of ``docs`` stay (a column named like an added one is replaced).
@@ -14,6 +15,8 @@ columns of ``docs`` stay (a column named like an added one is replaced).
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -37,24 +40,77 @@ ALLOWED = (
     r"(?i)example|xxxx|0123456789|abcdef0123|lorem|placeholder",
 )
 
-_SPAN = "array<struct<start:int,kind:int,end:int>>"
-_HIT = "array<struct<start:int,end:int,hit:string>>"
+#: Matches, windows of a run and characters of a text that are handled together.
+HITS, PIECE, CHUNK = 256, 256, 4096
+_HIT = "struct<start:int,end:int,hit:string>"
 
 
-def _hits(text: Column, pattern: str, worth: str | None = None) -> Column:
-    """All leftmost non-overlapping matches with their places; ``worth``: a cheap pattern that any row with a kept match has."""
-    parts = F.split(text, pattern, -1)
-    hits = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
+def _let(value: Column, body) -> Column:
+    """``body`` of a value that is worked out once; inside a lambda an expression would be worked out at every step."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
+def _walked(n: Column, begin: Column, advance, item, kind: str, keep=None) -> Column:
+    """``item(state, i)`` of 0 <= i < n (those that ``keep``), where the state is carried along by ``advance(state, i)``.
+
+    States are first carried over blocks of HITS and items then collected block by block, so that a long list costs little more an item than a short one.
+    """
+    none = F.array().cast(f"array<{kind}>")
+
+    def of_block(k):
+        return F.sequence(k * HITS, F.least((k + 1) * HITS, n) - 1)
+
+    def over(acc, k):
+        return F.struct(F.aggregate(of_block(k), acc["at"], advance).alias("at"), F.array_append(acc["out"], acc["at"]).alias("out"))
 
     def step(acc, i):
-        start = acc["at"] + F.length(F.get(parts, i))
-        end = start + F.length(F.get(hits, i))
-        return F.struct(end.alias("at"), F.array_append(acc["out"], F.struct(start.alias("start"), end.alias("end"), F.get(hits, i).alias("hit"))).alias("out"))
+        out = F.array_append(acc["out"], item(acc["at"], i))
+        return F.struct(advance(acc["at"], i).alias("at"), (out if keep is None else F.when(keep(i), out).otherwise(acc["out"])).alias("out"))
+
+    blocks = F.sequence(F.lit(0), F.floor((n - 1) / HITS).cast("int"))
+    begins = F.aggregate(blocks, F.struct(begin.alias("at"), F.array().cast("array<int>").alias("out")), over, lambda acc: acc["out"])
+    inside = F.transform(begins, lambda at, k: F.aggregate(of_block(k), F.struct(at.alias("at"), none.alias("out")), step, lambda acc: acc["out"]))
+    return F.when(n > 0, F.flatten(inside)).otherwise(none)
+
+
+def _hits(text: Column, pattern: str, worth: str | None = None) -> Column:
+    """All leftmost non-overlapping matches with their places, which are running sums of the lengths of matches and of what lies
+    between; ``worth``: a cheap pattern that any row with a kept match has."""
+
+    def located(p):
+        def begin(at, i):
+            return at + F.length(F.get(p["parts"], i))
+
+        def end(at, i):
+            return begin(at, i) + F.length(F.get(p["hits"], i))
+
+        def item(at, i):
+            return F.struct(begin(at, i).alias("start"), end(at, i).alias("end"), F.get(p["hits"], i).alias("hit"))
 
-    none = F.array().cast(_HIT)
-    zero = F.struct(F.lit(0).alias("at"), none.alias("out"))
-    walked = F.aggregate(F.sequence(F.lit(0), F.size(hits) - 1), zero, step, lambda acc: acc["out"])
-    return F.when(text.rlike(worth or pattern), walked).otherwise(none)
+        return _walked(F.size(p["hits"]), F.lit(0), end, item, _HIT)
+
+    both = F.struct(F.split(text, pattern, -1).alias("parts"), F.regexp_extract_all(text, F.lit(pattern), F.lit(0)).alias("hits"))
+    return F.when(text.rlike(worth or pattern), _let(both, located)).otherwise(F.array().cast(f"array<{_HIT}>"))
+
+
+def _uncovered(hits: Column, base: Column) -> Column:
+    """The hits that no base span covers whole: in one order by start, the furthest end of base spans so far is carried along."""
+    as_hits = F.transform(base, lambda b: F.struct(b["start"].alias("start"), F.lit(0).alias("of"), b["end"].alias("end"), F.lit("").alias("hit")))
+    tagged = F.transform(hits, lambda h: F.struct(h["start"].alias("start"), F.lit(1).alias("of"), h["end"].alias("end"), h["hit"].alias("hit")))
+
+    def open_(all_of):
+        def at(i):
+            return F.get(all_of, i)
+
+        def advance(end, i):
+            return F.when(at(i)["of"] == 0, F.greatest(end, at(i)["end"])).otherwise(end)
+
+        def item(end, i):
+            return F.struct(at(i)["start"].alias("start"), F.when(end >= at(i)["end"], F.lit(-1)).otherwise(at(i)["end"]).alias("end"), at(i)["hit"].alias("hit"))
+
+        return F.filter(_walked(F.size(all_of), F.lit(-1), advance, item, _HIT, lambda i: at(i)["of"] == 1), lambda h: h["end"] >= 0)
+
+    return F.when((F.size(hits) == 0) | (F.size(base) == 0), hits).otherwise(_let(F.array_sort(F.concat(as_hits, tagged)), open_))
 
 
 def _kind(hits: Column, kind: int, good) -> Column:
@@ -72,8 +128,16 @@ def base_spans(text: Column) -> tuple[Column, Column, Column]:
 
 
 def window_entropy(run: Column, width: int = WINDOW) -> Column:
-    """Largest entropy in bits of any window of ``width`` characters; -1 for a shorter run."""
-    table = F.array(*[F.lit(0.0)] + [F.lit(0.0)] + [F.lit(float(c)) * F.log2(F.lit(float(c))) for c in range(2, width + 2)])
+    """Largest entropy in bits of any window of ``width`` characters; -1 for a shorter run.
+
+    A run is cut into pieces of PIECE windows (by one pass of a pattern), so the cost is in proportion to its length.
+    """
+    pieces = F.regexp_extract_all(run, F.lit("(?s)(?=(.{1,%d})).{1,%d}" % (PIECE + width - 1, PIECE)), F.lit(1))
+    return F.when(F.length(run) >= width, F.array_max(F.transform(pieces, lambda p: _piece_entropy(p, width)))).otherwise(F.lit(-1.0))
+
+
+def _piece_entropy(run: Column, width: int) -> Column:
+    table = F.array(*[F.lit(0.0 if c < 2 else c * math.log2(c)) for c in range(width + 2)])
 
     def term(c):
         return F.get(table, c)
@@ -81,23 +145,21 @@ def window_entropy(run: Column, width: int = WINDOW) -> Column:
     def count(window, ch):
         return F.length(window) - F.length(F.replace(window, ch, F.lit("")))
 
-    first = F.substring(run, 1, width)
-    chars = F.filter(F.array_distinct(F.split(first, "")), lambda c: c != "")
-    start = F.aggregate(chars, F.lit(0.0), lambda acc, c: acc + term(count(first, c)))
+    def slid(first):
+        chars = F.filter(F.array_distinct(F.split(first, "")), lambda c: c != "")
+        start = F.aggregate(chars, F.lit(0.0), lambda acc, c: acc + term(count(first, c)))
+        zero = _let(start, lambda x: F.struct(x.alias("sum"), x.alias("least")))
+        return F.aggregate(steps, zero, step, lambda acc: acc["least"])
 
     def step(acc, i):
         window = F.substr(run, i, F.lit(width))
         gone, come = F.substr(run, i, F.lit(1)), F.substr(run, i + width, F.lit(1))
-        was, had = count(window, gone), count(window, come)
-        moved = acc["sum"] - term(was) + term(was - 1) - term(had) + term(had + 1)
+        moved = _let(F.struct(count(window, gone).alias("was"), count(window, come).alias("had")), lambda x: acc["sum"] - term(x["was"]) + term(x["was"] - 1) - term(x["had"]) + term(x["had"] + 1))
         now = F.when(gone == come, acc["sum"]).otherwise(moved)
-        return F.struct(now.alias("sum"), F.least(acc["least"], now).alias("least"))
+        return _let(now, lambda x: F.struct(x.alias("sum"), F.least(acc["least"], x).alias("least")))
 
-    zero = F.struct(start.alias("sum"), start.alias("least"))
     steps = F.when(F.length(run) > width, F.sequence(F.lit(1), F.length(run) - width)).otherwise(F.array().cast("array<int>"))
-    least = F.aggregate(steps, zero, step, lambda acc: acc["least"])
-    import math
-
+    least = _let(F.substring(run, 1, width), slid)
     return F.when(F.length(run) >= width, F.lit(math.log2(width)) - least / width).otherwise(F.lit(-1.0))
 
 
@@ -108,9 +170,9 @@ def entropy_spans(text: Column, base: Column, thresholds=THRESHOLDS, allowed=ALL
         ok = window_entropy(run) >= least
         for pattern in allowed:
             ok = ~run.rlike(pattern) & ok
-        return ~F.exists(base, lambda b: (b["start"] <= h["start"]) & (b["end"] >= h["end"])) & ok
+        return ok
 
-    return _kind(_hits(text, CANDIDATE), 3, good)
+    return _kind(_let(_hits(text, CANDIDATE), lambda hits: _uncovered(hits, base)), 3, good)
 
 
 def _said(spans: Column) -> Column:
@@ -142,14 +204,20 @@ def redacted(docs: DataFrame, mark: str = "[secret]") -> DataFrame:
     found = secret_spans(docs.select("*", F.col("text").alias("_text")).drop("assign_spans", "access_spans", "hex_spans", "base_spans", "secret_spans"), "_text")
     text = F.col("_text")
 
-    def step(acc, s):
-        begins = F.greatest(acc["at"], s["start"])
-        inside = s["end"] <= acc["at"]
-        piece = F.concat(acc["out"], F.substr(text, acc["at"] + 1, begins - acc["at"]), F.when(s["start"] < acc["at"], F.lit("")).otherwise(F.lit(mark)))
-        return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.when(inside, acc["out"]).otherwise(piece).alias("out"))
+    def cut(chunk, k):
+        lo = k * CHUNK
+        before = F.array_max(F.transform(F.filter("secret_spans", lambda s: s["start"] < lo), lambda s: s["end"]))
+        mine = F.filter("secret_spans", lambda s: (s["start"] >= lo) & (s["start"] < lo + CHUNK))
+
+        def step(acc, s):
+            piece = F.concat(acc["out"], F.substr(chunk, acc["at"] - lo + 1, F.greatest(s["start"] - acc["at"], F.lit(0))), F.when(s["start"] < acc["at"], F.lit("")).otherwise(F.lit(mark)))
+            return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.when(s["end"] <= acc["at"], acc["out"]).otherwise(piece).alias("out"))
+
+        zero = F.struct(F.greatest(lo, F.coalesce(before, lo)).alias("at"), F.lit("").alias("out"))
+        return F.aggregate(mine, zero, step, lambda acc: F.concat(acc["out"], F.substr(chunk, acc["at"] - lo + 1, F.lit(CHUNK))))
 
-    zero = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
-    clean = F.aggregate("secret_spans", zero, step, lambda acc: F.concat(acc["out"], F.substr(text, acc["at"] + 1)))
+    # by chunks of the text, so that no long prefix is copied at each span
+    clean = F.array_join(F.transform(F.regexp_extract_all(text, F.lit("(?s).{1,%d}" % CHUNK), F.lit(0)), cut), "")
     hit = F.size("secret_spans") > 0
     new = {"text": F.when(hit, clean).otherwise(text)}
     if "n_chars" in names:
