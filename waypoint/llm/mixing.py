@@ -2,14 +2,16 @@
 
 Each document gets an inclusion rate between 0 and ``cap``. Among all rates that meet a source's token
 target, entropy balancing picks those nearest to the untilted rate cap/2 in bounded (binary) entropy:
-``rate = cap * sigmoid(lambda_source * size / scale_source)``. The dual is convex with one unknown for each
+``rate = cap * sigmoid(lambda_source * size / scale_source)``. That is an exponential tilt of the odds; a plain exponential tilt of the rates would
+pass the cap. The dual is convex with one unknown for each
 source, and Newton's steps solve it from sums over (source, size) counts, kept as a table. Rates are rounded
 to whole copies by a fixed hash of the row; a threshold for each source, read off a histogram of a fixed
-number of bins, puts the sum of copies as near to the target as one bin of documents allows.
+number of bins, puts the sum of copies near the target, and what is still missing or too much (a few long documents may weigh a source down) is made up by
+single documents: in each of FLIPS rounds the one whose size comes nearest to the rest is taken once more or once less, if that helps.
 
 Edge cases: a null text has size 0; a null source is a source of its own, after all others; documents of size
-0 are taken 0 times; an empty table gives an empty result. Repeated rows are mixed one by one (ties of the
-hash share a bin). Extra columns are passed through by :func:`mixed_documents` and ignored by the query.
+0 are taken 0 times; an empty table gives an empty result. Repeated rows, also of one id in several sources, are mixed one by one (ties of the
+hash share a bin). Null ids are mixed like others. Extra columns are passed through by :func:`mixed_documents` and ignored by the query. Sources are ranked in one task, a row a source.
 """
 
 from __future__ import annotations
@@ -23,6 +25,7 @@ from waypoint.llm.store import kept
 WORD = r"[^\x20\x09-\x0D]+"
 WEIGHTS = (3, 1, 2)
 BINS = 4096
+FLIPS = 3
 
 
 def word_count(text) -> F.Column:
@@ -96,13 +99,18 @@ def balanced(counts: DataFrame, targets: DataFrame, cap: float, steps: int = 40,
 
 def mix(docs: DataFrame, weights=WEIGHTS, share: float = 1.5, cap: float = 2.0, key: str = "doc_id") -> DataFrame:
     """``doc_id, size, source_size, target, rate, copies, taken`` of every row of ``docs``."""
-    rows = kept(docs.select(F.col(key).alias("doc_id"), F.col("source"), word_count(F.col("text")).alias("size")), "mix-sizes")
+    rows = docs.select(F.col(key).alias("doc_id"), F.col("source"), word_count(F.col("text")).alias("size"), F.monotonically_increasing_id().alias("row"))
+    return _mixed(kept(rows, "mix-sizes"), weights, share, cap).drop("row")
+
+
+def _mixed(rows: DataFrame, weights, share: float, cap: float) -> DataFrame:
+    """The mix of written rows ``doc_id, source, size, row``, with ``row``."""
     counts = kept(rows.groupBy("source", "size").agg(F.count("*").alias("n")), "mix-counts")
     sums = counts.select("source", (F.col("size") * F.col("n")).alias("size"))
     targets = kept(source_targets(sums, weights, share, cap), "mix-targets")
     solved = balanced(counts, targets, cap)
     solved = targets.alias("t").join(solved.alias("s"), F.col("t.source").eqNullSafe(F.col("s.source"))).select("t.source", "t.source_size", "t.target", "s.lam", "s.scale", "s.full")
-    rated = rows.alias("r").join(solved.alias("s"), F.col("r.source").eqNullSafe(F.col("s.source"))).select("r.doc_id", "r.source", "r.size", "s.source_size", "s.target", "s.lam", "s.scale", "s.full")
+    rated = rows.alias("r").join(solved.alias("s"), F.col("r.source").eqNullSafe(F.col("s.source"))).select("r.row", "r.doc_id", "r.source", "r.size", "s.source_size", "s.target", "s.lam", "s.scale", "s.full")
     rated = rated.withColumn("rate", _rate(cap)).drop("lam", "scale", "full")
     whole = F.floor("rate")
     uniform = F.pmod(F.xxhash64(F.lit("copies"), "doc_id", "size"), F.lit(1 << 30)) / F.lit(float(1 << 30))
@@ -119,15 +127,39 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = 1.5, cap: float = 2.0,
     best = best.select("source", F.when(F.col("b.miss") <= F.col("miss_none"), F.col("b.cut")).otherwise(F.lit(BINS + 1)).alias("cut"))
     out = rated.alias("r").join(best.alias("b"), F.col("r.source").eqNullSafe(F.col("b.source")), "left")
     copies = F.col("whole") + F.when(F.col("bin") >= F.col("cut"), 1).otherwise(0)
-    out = out.select("r.doc_id", "r.size", "r.source_size", "r.target", "r.rate", copies.cast("long").alias("copies"))
+    out = kept(out.select("r.row", "r.doc_id", "r.source", "r.size", "r.source_size", "r.target", "r.rate", copies.cast("long").alias("copies")), "mix-copies")
+    flips = _flips(out, cap)
+    out = out.join(flips, "row", "left").withColumn("copies", F.col("copies") + F.coalesce("change", F.lit(0))).drop("change", "source")
     return out.withColumn("taken", F.col("copies") * F.col("size"))
 
 
-def mixed_documents(docs: DataFrame, **how) -> DataFrame:
+def _flips(out: DataFrame, cap: float) -> DataFrame:
+    """``row, change``: single documents taken once more or less, so that the sums come nearer to the targets."""
+    size = F.col("size")
+    sums = out.groupBy("source").agg(F.first("target").alias("target"), F.sum(F.col("copies") * size).alias("got"))
+    rest = sums.select(F.col("source").alias("of"), (F.col("target") - F.col("got")).alias("rest"))
+    flips = kept(out.select("row", F.lit(0).cast("long").alias("change"), F.col("source").alias("of"), F.lit(0).cast("long").alias("by")).limit(0), "mix-flips")
+    for _ in range(FLIPS):
+        done = flips.groupBy("row").agg(F.sum("change").alias("change"))
+        left = rest.join(flips.groupBy(F.col("of").alias("_of")).agg(F.sum("by").alias("by")), F.col("of").eqNullSafe(F.col("_of")), "left")
+        left = left.select("of", (F.col("rest") - F.coalesce("by", F.lit(0))).alias("rest")).filter(F.abs("rest") >= 1)
+        now = out.join(done, "row", "left").withColumn("copies", F.col("copies") + F.coalesce("change", F.lit(0))).select("row", "doc_id", "source", "size", "copies")
+        now = now.join(left, F.col("source").eqNullSafe(F.col("of")))
+        may = F.when(F.col("rest") > 0, F.col("copies") + 1 <= cap).otherwise(F.col("copies") > 0) & (size > 0)
+        off = F.abs(F.abs("rest") - size)
+        best = now.filter(may & (off < F.abs("rest"))).groupBy("of").agg(F.min(F.struct(off, F.xxhash64("doc_id", "size"), "row", "size", "rest")).alias("b"))
+        new = best.select(F.col("b.row").alias("row"), F.signum("b.rest").cast("long").alias("change"), "of", (F.signum("b.rest") * F.col("b.size")).cast("long").alias("by"))
+        flips = kept(flips.unionByName(new), "mix-flips")
+    return flips.groupBy("row").agg(F.sum("change").alias("change"))
+
+
+def mixed_documents(docs: DataFrame, weights=WEIGHTS, share: float = 1.5, cap: float = 2.0) -> DataFrame:
     """``docs`` with the columns ``target``, ``taken`` and ``copies`` of the mix, every row kept.
 
+    The rows are written first, so that each has a number of its own; repeated ids are told apart by it.
     Clashing names: columns of ``docs`` with these names are replaced.
     """
-    m = mix(docs, **how).select(F.col("doc_id").alias("_id"), "size", "source_size", "target", "copies", "taken").dropDuplicates(["_id", "size"])
-    clean = docs.drop("size", "source_size", "target", "copies", "taken")
-    return clean.withColumn("_size", word_count(F.col("text"))).join(m, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_size") == F.col("size"))).drop("_id", "_size")
+    rows = kept(docs.withColumn("_row", F.monotonically_increasing_id()), "mix-rows")
+    m = _mixed(rows.select("doc_id", "source", word_count(F.col("text")).alias("size"), F.col("_row").alias("row")), weights, share, cap)
+    clean = rows.drop("size", "source_size", "target", "copies", "taken")
+    return clean.join(m.select(F.col("row").alias("_row"), "target", "copies", "taken"), "_row").drop("_row")
