@@ -1,4 +1,8 @@
-"""The stages that turn ``documents`` into a training mix; each calls one operator of ``waypoint.llm``."""
+"""The stages that turn ``documents`` into a training mix; each calls one operator of ``waypoint.llm``.
+
+All stages but the last return the columns of their input, extra ones too, in order. Rows of null id pass every stage that judges by id. An
+empty table stays empty.
+"""
 
 from __future__ import annotations
 
@@ -9,27 +13,27 @@ from waypoint.llm.store import kept, table
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the toxicity model rejects go."""
+    """Documents that the toxicity model rejects go; repeated rows are judged alike, null and empty texts score as texts without words."""
     return toxicity.accepted(docs, table(spark, sf_dir, "labels"))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates stays."""
+    """One document of each group of near duplicates stays, the one of the smallest id (all rows of that id); null and empty texts and rows of null id stay."""
     return near_dup.deduplicated(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with a benchmark passage go."""
+    """Documents with a benchmark passage go; null and empty texts and rows of null id stay."""
     return decontaminate.decontaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Secrets are cut out of the texts; every document stays."""
+    """Secrets are cut out of the texts; every document stays, texts without secrets (and null ones) as they are."""
     return secrets.redacted(docs)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every document with the copies and words that the mix takes of it."""
+    """Every document with the copies and words that the mix takes of it; null texts have size 0, a null source is one of its own."""
     return mixing.mix(docs).select("doc_id", "size", "source_size", "target", "copies", "taken")
 
 
