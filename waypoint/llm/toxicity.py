@@ -136,7 +136,8 @@ def fit(texts: pa.Array, y: np.ndarray, epochs: int = 50, rate: float = 0.5, dec
     n = len(y)
     prior = (float(y.sum()) + 1.0) / (n + 2.0)
     if n == 0 or y.min() == y.max():
-        return Model(np.zeros(1 << BITS, dtype=np.float32), float(np.log(prior / (1 - prior))))
+        # no passage says anything: every text, however long, gets the prior
+        return Model(np.zeros(1 << BITS, dtype=np.float32), -60.0, float(np.log(prior / (1 - prior)) - _logit(np.zeros(1))[0]))
     raw, off = packed.texts(texts)
     raw = packed.lowered(raw)
     ws, we, passage, word, text_of = _sample(raw, off)
