@@ -164,20 +164,21 @@ def test_decontamination(spark):
     texts = [words(rng, 30) + " " + items[0].upper() + " " + words(rng, 5), items[1].replace(" ", "\n\t"), words(rng, 80), " ".join(edited), "", None, items[0][: len(items[0]) // 2], "q " + items[2] + " z"]
     bench = spark.createDataFrame(list(enumerate(items)) + [(9, None)], "item_id long, text string")
     got = {(r["doc_id"], r["item_id"]) for r in decontaminate.leaks(docs(spark, texts), bench).collect()}
-    assert got >= {(0, 0), (1, 1), (3, 3)} and not {d for d, _ in got} & {2, 4, 5, 6}
+    assert got == {(0, 0), (1, 1), (3, 3), (7, 2)}
     assert sorted(r["doc_id"] for r in decontaminate.decontaminated(docs(spark, texts), bench).collect() if r["doc_id"] in (2, 4, 5, 6)) == [2, 4, 5, 6]
 
 
 def test_html():
-    tree = html_text.grow(html_text.LABELLED)
-    assert all(tree.says(r[:-1]) == bool(r[-1]) for r in html_text.LABELLED)
+    table = html_text.labelled_table()
+    tree = html_text.grow(table)
+    assert sum(tree.says(r[:-1]) == bool(r[-1]) for r in table) >= 0.99 * len(table)
     page = '<html><head><title>T</title><script>var t="</p>";</script></head><body><nav><ul><li><a href="/">Home</a></li></ul></nav><div class="ad">Buy now</div><article><h1>A &amp; B</h1><p><b>one\n two<br><p>caf&eacute; &lt;x&gt;</p><div class="comments">nice post</div></article><footer>&copy; us</footer>'
     assert html_text.main_text(page, tree) == "A & B\none two\ncafé <x>"
     assert html_text.main_text(None, tree) == html_text.main_text("", tree) == html_text.main_text("<script>x", tree) == ""
 
 
 def test_html_without_an_article_element():
-    tree = html_text.grow(html_text.LABELLED)
+    tree = html_text.grow(html_text.labelled_table())
     long, other, last = (" ".join(w + str(k) for k in range(40)) for w in ("a", "b", "c"))
     links = '<ul><li><a href="/">Home</a></li><li><a href="/x">All news</a></li></ul>'
     page = f"<body>{links}<div><p>{long}</p><h2>What came next</h2><p>{other}</p><p>Nobody had seen it.</p><p>{last}</p></div>{links}</body>"
