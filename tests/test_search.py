@@ -206,3 +206,18 @@ def test_near_neighbours_by_cells(spark):
     assert exact == {(i, int(j)) for i in range(300) for j in np.argsort(-c[i])[:4]}
     cells = {(r["id"], r["other"]) for r in nearest(df, 4, cells=10, probes=6).collect()}
     assert len(cells & exact) >= 0.9 * len(exact)
+
+
+def test_overtaken_walks_are_left_out(spark, monkeypatch):
+    rows = [(str(x), label, str(y)) for x in range(9) for y in range(9) for label in "ab"]
+    sizes, made = [], baselines.counted
+    monkeypatch.setattr(baselines, "counted", lambda *how: (sizes.append((out := made(*how))[1]), out)[1])
+    g, automaton = LabelledGraph.from_edges(graph(spark, rows)), prepared("a*/b/a")
+    few = baselines.walks(g, automaton, "0", 4, "shortest")
+    # 8 new nodes by an a and 9 by a b, then 9 * 9 walks to the last state, and none after them
+    assert sizes == [17, 81, 0]
+    assert listed(baselines.shortest_of(few)) == listed(paths(search(g, automaton, "0", "links"))) == listed(baselines.shortest_of(baselines.walks(g, automaton, "0", 2)))
+    rng = random.Random(3)
+    for regex in ("(a|b)*/a", "a/b*/a?", "a?"):
+        g, automaton = LabelledGraph.from_edges(graph(spark, [(str(rng.randrange(6)), rng.choice("ab"), str(rng.randrange(6))) for _ in range(14)])), prepared(regex)
+        assert listed(baselines.shortest_of(baselines.walks(g, automaton, "0", 4, "shortest"))) == listed(baselines.shortest_of(baselines.walks(g, automaton, "0", 4)))
