@@ -4,6 +4,7 @@ import pytest
 
 from pyspark.sql import functions as F
 
+from waypoint import workloads
 from waypoint.operators import answers as A
 from waypoint.operators import baselines, search as kernel
 from waypoint.operators.paths import iter_paths, k_paths, lazy_paths, paths, paths_balanced, paths_by_level, paths_by_visit, single_paths
@@ -221,3 +222,20 @@ def test_overtaken_walks_are_left_out(spark, monkeypatch):
     for regex in ("(a|b)*/a", "a/b*/a?", "a?"):
         g, automaton = LabelledGraph.from_edges(graph(spark, [(str(rng.randrange(6)), rng.choice("ab"), str(rng.randrange(6))) for _ in range(14)])), prepared(regex)
         assert listed(baselines.shortest_of(baselines.walks(g, automaton, "0", 4, "shortest"))) == listed(baselines.shortest_of(baselines.walks(g, automaton, "0", 4)))
+
+
+@pytest.fixture
+def few_events(spark, tmp_path):
+    """Histories by user; nulls are events without a type."""
+    histories = {1: ["view", "purchase", "click"], 2: ["purchase", None, "click", "view", "odd"], 3: ["click"], 4: ["purchase", "purchase", "purchase"], 5: [None]}
+    rows = [(10 * u + i, f"2024-01-01 00:00:{59 - i:02d}" if u == 4 else "2024-01-01 00:00:00", u, t) for u, ts in histories.items() for i, t in enumerate(ts)]
+    spark.createDataFrame(rows, "event_id long, ts string, user_id long, event_type string").selectExpr("event_id", "cast(ts as timestamp) as ts", "user_id", "event_type").write.parquet(f"{tmp_path}/events.parquet")
+    return str(tmp_path), {u: [t for t in ts if t] for u, ts in histories.items()}
+
+
+def test_costs_of_automata_over_given_events(spark, few_events):
+    folder, words = few_events
+    got = workloads.QUERIES["cost_automata"](spark, folder)
+    assert any("events.parquet" in f for f in got.inputFiles())
+    want = [(k, 2 + 4 * (k + 1), 2 ** (k + 1), False, True, True, sum(len(w) > k and w[-1 - k] == "purchase" for w in words.values())) for k in range(1, 7)]
+    assert sorted(map(tuple, got.collect())) == want and [x[-1] for x in want] == [2, 1, 1, 0, 0, 0]
