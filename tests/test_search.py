@@ -239,3 +239,16 @@ def test_costs_of_automata_over_given_events(spark, few_events):
     assert any("events.parquet" in f for f in got.inputFiles())
     want = [(k, 2 + 4 * (k + 1), 2 ** (k + 1), False, True, True, sum(len(w) > k and w[-1 - k] == "purchase" for w in words.values())) for k in range(1, 7)]
     assert sorted(map(tuple, got.collect())) == want and [x[-1] for x in want] == [2, 1, 1, 0, 0, 0]
+
+
+def test_moves_of_an_automaton_over_given_events(spark, few_events):
+    folder, words = few_events
+    got = workloads.QUERIES["udtf_automaton"](spark, folder)
+    assert any("events.parquet" in f for f in got.inputFiles())
+    seen = {t: (sum(w.count(t) for w in words.values()), sum(t in w for w in words.values())) for t in ("view", "click", "purchase")}
+    moves = [(0, "click", 1, False), (0, "view", 0, False), (1, "purchase", 2, True)]
+    assert sorted(map(tuple, got.collect())) == [(*m, *seen[m[1]]) for m in moves]
+    spark.createDataFrame([], "event_id long, ts timestamp, user_id long, event_type string").write.parquet(f"{folder}/none/events.parquet")
+    assert sorted(map(tuple, workloads.QUERIES["udtf_automaton"](spark, f"{folder}/none").collect())) == [(*m, 0, 0) for m in moves]
+    none = workloads.QUERIES["cost_automata"](spark, f"{folder}/none").collect()
+    assert sorted((r["k"], r["position_states"], r["users"]) for r in none) == [(k, 2 + k + 1, 0) for k in range(1, 7)]
