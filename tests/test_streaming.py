@@ -88,3 +88,11 @@ def test_words(spark):
     a = determinised(prepared("(a|b)*/a/(a|b)"))
     assert [r[0] for r in df.select(matches_word(F.col("w"), a)).collect()] == [a.accepts(w) for w in ([], ["a"], ["a", "b"], ["b"], ["c"])]
     assert {k: n for k, n, *_ in measured("(a|b)*/a/(a|b)")}["minimal"] == 4
+
+
+def test_windows_over_a_stream_with_state_of_its_own(spark, tmp_path):
+    stream = files(spark, tmp_path, [[(at(1), "v", "a", "x"), (at(1), "v", "a", "x")], [(at(200), "v", "a", "z")]], EDGE)
+    query, sink = T.windowed_rpq(T.unrepeated(stream, "0 seconds"), prepared("a"), "v", "1 hour")
+    T.drained(query)
+    assert {(r["begins"], r["node"]) for r in sink.table().collect()} == {(at(0), "x")}
+    assert spark.conf.get(T.TWO_WATERMARKS, "true") == "true"
